@@ -5,7 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from driftview.llm import lines, mixing
 from driftview.llm.near_dup import near_duplicates
 from driftview.llm.toxicity import toxicity
 
@@ -22,10 +24,19 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = lines.drop_shared_lines(_table(spark, sf_dir, "documents"))
+    return kept.select("doc_id", "line_counts.*", F.sha2("text", 256).alias("kept_sha256"))
+
+
+def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.fair_mix(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op3_toxicity]
+    found = [op1_near_dup, op3_toxicity, op9_line_dedup, op10_mixing]
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_line_dedup": lines.ORACLE_SQL, "op10_mixing": mixing.ORACLE_SQL}
