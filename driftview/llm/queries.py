@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftview.llm import lines, mixing
+from driftview.llm.fingerprints import fingerprint_report
 from driftview.llm.near_dup import near_duplicates
 from driftview.llm.toxicity import toxicity
 
@@ -24,6 +25,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprint_report(_table(spark, sf_dir, "documents"))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = lines.drop_shared_lines(_table(spark, sf_dir, "documents"))
     return kept.select("doc_id", "line_counts.*", F.sha2("text", 256).alias("kept_sha256"))
@@ -34,7 +39,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op3_toxicity, op9_line_dedup, op10_mixing]
+    found = [op1_near_dup, op3_toxicity, op6_fingerprints, op9_line_dedup, op10_mixing]
     return {f.__name__: f for f in found}
 
 
