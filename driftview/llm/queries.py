@@ -11,6 +11,7 @@ from driftview.llm import lines, mixing
 from driftview.llm.fingerprints import fingerprint_report
 from driftview.llm.near_dup import near_duplicates
 from driftview.llm.toxicity import toxicity
+from driftview.llm.warc import archive_round_trip
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,6 +30,10 @@ def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_report(_table(spark, sf_dir, "documents"))
 
 
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return archive_round_trip(_table(spark, sf_dir, "pages"))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = lines.drop_shared_lines(_table(spark, sf_dir, "documents"))
     return kept.select("doc_id", "line_counts.*", F.sha2("text", 256).alias("kept_sha256"))
@@ -39,7 +44,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op3_toxicity, op6_fingerprints, op9_line_dedup, op10_mixing]
+    found = [op1_near_dup, op3_toxicity, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
     return {f.__name__: f for f in found}
 
 
