@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftview.llm import lines, mixing
+from driftview.llm.decontaminate import contamination
 from driftview.llm.fingerprints import fingerprint_report
 from driftview.llm.near_dup import near_duplicates
 from driftview.llm.toxicity import toxicity
@@ -22,6 +23,10 @@ def op1_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
@@ -44,7 +49,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op3_toxicity, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
+    found = [op1_near_dup, op2_decontamination, op3_toxicity, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
     return {f.__name__: f for f in found}
 
 
