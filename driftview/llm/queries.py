@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from driftview.llm import lines, mixing
 from driftview.llm.decontaminate import contamination
 from driftview.llm.fingerprints import fingerprint_report
+from driftview.llm.language_model import language_scores
 from driftview.llm.near_dup import near_duplicates
 from driftview.llm.toxicity import toxicity
 from driftview.llm.warc import archive_round_trip
@@ -31,6 +32,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_scores(_table(spark, sf_dir, "documents"))
+
+
 def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_report(_table(spark, sf_dir, "documents"))
 
@@ -49,7 +54,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op2_decontamination, op3_toxicity, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
+    found = [op1_near_dup, op2_decontamination, op3_toxicity, op4_language_model, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
     return {f.__name__: f for f in found}
 
 
