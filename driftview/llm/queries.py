@@ -7,11 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+import corpus_pipeline
+
 from driftview.llm import lines, mixing
 from driftview.llm.decontaminate import contamination
 from driftview.llm.fingerprints import fingerprint_report
 from driftview.llm.language_model import language_scores
+from driftview.llm.licenses import license_scan
 from driftview.llm.near_dup import near_duplicates
+from driftview.llm.passages import passage_report, repeated_passages
 from driftview.llm.toxicity import toxicity
 from driftview.llm.warc import archive_round_trip
 
@@ -36,10 +40,18 @@ def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_scores(_table(spark, sf_dir, "documents"))
 
 
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan(_table(spark, sf_dir, "documents"))
+
+
 def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_report(_table(spark, sf_dir, "documents"))
 
 
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passage_report(repeated_passages(_table(spark, sf_dir, "documents")))
+
+
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archive_round_trip(_table(spark, sf_dir, "pages"))
 
@@ -54,8 +66,8 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_near_dup, op2_decontamination, op3_toxicity, op4_language_model, op6_fingerprints, op8_warc, op9_line_dedup, op10_mixing]
-    return {f.__name__: f for f in found}
+    found = [op1_near_dup, op2_decontamination, op3_toxicity, op4_language_model, op5_licenses, op6_fingerprints, op7_substring_dedup, op8_warc, op9_line_dedup, op10_mixing]
+    return {f.__name__: f for f in found} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
