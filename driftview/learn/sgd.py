@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable
-from dataclasses import dataclass, replace
+from dataclasses import dataclass
 
 import numpy as np
 
@@ -73,7 +73,7 @@ class SgdTrainer:
         for _ in range(epochs):
             for f, y in examples:
                 model = self.step(model, f, y)
-        return replace(model, round=0)
+        return model
 
 
 class ScaledSgd:

@@ -16,10 +16,11 @@ def short_hash(*columns: str) -> Column:
 
 
 def keyed_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """lineitem with ``ent_id``, a hash of the four columns that together are unique, and a planted label."""
+    """lineitem with ``ent_id``, a hash of the columns that together are unique, and a planted label."""
     rows = table(spark, sf_dir, "lineitem")
     label = F.when(F.col("l_extendedprice") >= 1500 * F.col("l_quantity"), 1).otherwise(-1)
-    return rows.withColumn("ent_id", short_hash("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")).withColumn("label", label)
+    cents = F.round(F.col("l_extendedprice") * 100).cast("long")
+    return rows.withColumn("cents", cents).withColumn("ent_id", short_hash("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "cents")).drop("cents").withColumn("label", label)
 
 
 def strip_tags(html: Column) -> Column:
