@@ -89,8 +89,9 @@ def vector_norm(df: DataFrame, q: float, column: str = "f") -> Column:
 
 def normalized(values: Column, q: float) -> Column:
     """The array over its q-norm; a zero vector stays."""
-    size = norm(values, q)
-    return F.transform(values, lambda x: F.when(size > 0, x / size).otherwise(x))
+    # the size is bound to a name first: written inside the lambda it would be computed for each element
+    bound = F.array(F.struct(values.alias("v"), norm(values, q).alias("size")))
+    return F.get(F.transform(bound, lambda b: F.transform(b["v"], lambda x: F.when(b["size"] > 0, x / b["size"]).otherwise(x))), F.lit(0))
 
 
 def max_norm(df: DataFrame, q: float, column: str = "f") -> float:

@@ -6,9 +6,11 @@ One scan then counts the bands of all rounds at once.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,6 +19,7 @@ from driftview.learn.model import Model
 from driftview.operators.band import HolderPair, in_band, water_marks
 from driftview.operators.policy import lazy_waste
 from driftview.plans.workloads import models_frame
+from driftview.shipping import ship
 
 
 def _dot(w: Column, f: Column, dim: int) -> Column:
@@ -93,23 +96,33 @@ def cost_family(entities: DataFrame, models: list[Model], largest: float, pair:
     """(s, i, n_band) for all s <= i: the rows in the band of round i if the data was clustered at s.
 
     Cumulative bands of one s are nested, so a margin lies in those from some
-    round on; counting first rounds and adding up needs one row for each margin
-    and stored round, and a shuffle of counts alone.
+    round on.  Tasks find those rounds by binary search, and send a count for
+    each pair of rounds.
     """
     pair = pair or HolderPair()
-    spark = entities.sparkSession
-    rows = []
-    for s in range(len(models)):
-        marks = water_marks(models, s, largest, pair.p)
-        rows.append((s, models[s].w.tolist(), float(models[s].b), [float(m[3]) for m in marks], [float(m[4]) for m in marks]))
-    bands = spark.createDataFrame(rows, "s int, w array<double>, b double, lw array<double>, hw array<double>")
-    crossed = entities.crossJoin(F.broadcast(bands))
-    eps = _dot(F.col("w"), F.col("f"), len(models[0].w)) - F.col("b")
-    # water marks move outwards: rounds before the first one that reaches the margin are those whose mark has not
-    below = F.size(F.filter("lw", lambda x: x > F.col("eps")))
-    above = F.size(F.filter("hw", lambda x: x <= F.col("eps")))
-    first = crossed.select("s", eps.alias("eps"), "lw", "hw").select("s", (F.col("s") + F.greatest(below, above)).alias("i")).groupBy("s", "i").agg(F.count("*").alias("n"))
-    grid = spark.range(len(models)).select(F.col("id").cast("int").alias("s")).select("s", F.explode(F.sequence("s", F.lit(len(models) - 1))).alias("i"))
+    ship(entities.sparkSession)
+    spark, n = entities.sparkSession, len(models)
+    marks = [water_marks(models, s, largest, pair.p) for s in range(n)]
+    lows, highs = ([np.array([m[k] for m in rows]) for rows in marks] for k in (3, 4))
+    weights, biases = np.array([m.w for m in models]), np.array([m.b for m in models])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums = np.zeros((n, n + 1), np.int64)
+        for batch in batches:
+            f = batch.column("f").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            for s in range(n):
+                eps = np.zeros(len(f))
+                for k in range(f.shape[1]):
+                    eps += weights[s, k] * f[:, k]
+                eps -= biases[s]
+                # marks move outwards: the first round whose low mark is reached, and whose high mark is above
+                first = np.maximum(np.searchsorted(-lows[s], -eps, "left"), np.searchsorted(highs[s], eps, "right"))
+                sums[s] += np.bincount(s + first, minlength=n + 1)[: n + 1]
+        at, to = np.nonzero(sums)
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(to, pa.int32()), pa.array(sums[at, to])], ["s", "i", "n"])
+
+    first = entities.select("f").mapInArrow(count, "s int, i int, n long").groupBy("s", "i").agg(F.sum("n").alias("n"))
+    grid = spark.range(n).select(F.col("id").cast("int").alias("s")).select("s", F.explode(F.sequence("s", F.lit(n - 1))).alias("i"))
     met = grid.join(first.withColumnRenamed("i", "k").withColumnRenamed("s", "t"), (F.col("s") == F.col("t")) & (F.col("k") <= F.col("i")), "left")
     return met.groupBy("s", "i").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n_band"))
 

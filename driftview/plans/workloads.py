@@ -12,6 +12,7 @@ from driftview.functions.features import DenseArray, DenseColumns, FeatureFuncti
 from driftview.learn.model import Model
 from driftview.learn.sgd import SgdTrainer
 from driftview.operators.view import gather
+from driftview.session import materialize
 from driftview.sources.tables import keyed_lineitem, table
 
 #: Of the examples, in order of id, so many train the warm model and so many come as updates: 4 to 1.
@@ -35,6 +36,10 @@ class Workload:
     def entities(self) -> DataFrame:
         return self.feature.transform(self.source, "id")
 
+    def kept_entities(self) -> DataFrame:
+        """The entities written out, for features that cost more than reading them."""
+        return materialize(self.entities, "entities")
+
     def examples(self) -> DataFrame:
         """The first warm + measured labelled ids; a bounded number of rows."""
         rows = self.labelled if self.labelled is not None else self.source.select("id", "label")
@@ -61,7 +66,7 @@ class Workload:
 
 #: Fixed values of the dense workload: columns, and what each is divided by.
 LINEITEM = (("l_quantity", "l_extendedprice", "l_discount", "l_tax"), (50.0, 105000.0, 0.1, 0.08))
-DENSE_TRAINER = SgdTrainer("hinge", 0.1, 0.05)
+DENSE_TRAINER = SgdTrainer("hinge", 2.0, 0.01)
 
 
 def planted_lineitem(spark: SparkSession, sf_dir: str, trainer: SgdTrainer = DENSE_TRAINER) -> Workload:
