@@ -255,7 +255,10 @@ def passage_report(passages: DataFrame) -> DataFrame:
     links = held.select(F.col("first.doc_id").alias("a"), F.col("doc_id").alias("b")).where("a <> b").distinct()
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("doc_id")).groupBy("doc_id").agg(F.count("*").alias("n_links"))
-    spread = held.select("doc_id", "removed", F.explode(F.sequence("start", F.col("start") + F.col("n_words") - 1)).alias("word")).where("removed").groupBy("doc_id").agg(F.count_distinct("word").alias("removed_words"))
+    ends = F.struct(F.col("start").alias("a"), (F.col("start") + F.col("n_words")).alias("b"))
+    spans = held.where("removed").groupBy("doc_id").agg(F.sort_array(F.collect_set(ends)).alias("spans"))  # of one text
+    union = F.aggregate("spans", F.struct(F.lit(0).alias("total"), F.lit(0).alias("end")), lambda x, s: F.struct((x["total"] + F.greatest(F.lit(0), s["b"] - F.greatest(s["a"], x["end"]))).alias("total"), F.greatest(s["b"], x["end"]).alias("end")))
+    spread = spans.select("doc_id", union["total"].alias("removed_words"))
     sums = held.groupBy("doc_id").agg(F.count("*").alias("n_passages"), F.sum(F.col("removed").cast("long")).alias("n_removed"))
     joined = roots.withColumnRenamed("node", "doc_id").join(sums, "doc_id").join(degree, "doc_id").join(spread, "doc_id", "left")
     return joined.select("doc_id", F.col("root").alias("class_id"), "n_links", "n_passages", "n_removed", F.coalesce("removed_words", F.lit(0)).cast("long").alias("removed_words"))
