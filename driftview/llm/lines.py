@@ -7,7 +7,7 @@ import string
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from driftview.llm.scratch import materialize
+from driftview.llm.scratch import columns, fresh, materialize
 
 BLANKS = " \t\n\x0b\x0c\r"
 
@@ -47,19 +47,22 @@ def drop_shared_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
     loses, and its lines are filtered in place, so their order never changes.
     A null or empty text is one empty line.  Rows with a null id lose nothing
     and are not counted.  Repeated rows of an id count once and lose the same
-    lines.  An empty table gives an empty result; other columns pass through.
+    lines.  An empty table gives an empty result; other columns pass through, but for one
+    named line_counts, which is replaced.
     """
     found, heavy = shared_lines(docs, doc_id, text, min_chars, min_documents)
     lost = found.join(heavy, ["h1", "h2"]).where("doc_id <> keeper").groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("__lost"))
-    lost = lost.select(F.col("doc_id").alias("__lost_id"), "__lost")
+    kept_name, lost_name, owner = (fresh(docs, x) for x in ("__kept", "__lost", "__owner"))
+    lost = lost.select(F.col("doc_id").alias(owner), F.col("__lost").alias(lost_name))
     whole = F.coalesce(F.col(text), F.lit(""))
     lines = F.split(whole, "\n")
-    pairs = F.filter(F.arrays_zip(lines.alias("line"), F.split(ascii_lower(whole), "\n").alias("key")), lambda p: ~F.array_contains(F.col("__lost"), _digest(line_key(p["key"]))))
-    kept = F.when(F.col("__lost").isNull(), lines).otherwise(F.transform(pairs, lambda p: p["line"]))
-    joined = docs.join(lost, docs[doc_id] == lost["__lost_id"], "left")
+    pairs = F.filter(F.arrays_zip(lines.alias("line"), F.split(ascii_lower(whole), "\n").alias("key")), lambda p: ~F.array_contains(F.col(lost_name), _digest(line_key(p["key"]))))
+    kept = F.when(F.col(lost_name).isNull(), lines).otherwise(F.transform(pairs, lambda p: p["line"]))
+    joined = docs.join(lost, docs[doc_id] == lost[owner], "left")
     n = F.size(lines).cast("long")
-    out = joined.withColumn("__kept", kept).withColumn("line_counts", F.struct(n.alias("n_lines"), (n - F.size("__kept")).alias("n_dropped")))
-    return out.withColumn(text, F.array_join("__kept", "\n")).select(*docs.columns, "line_counts")
+    rest = [c for c, name in zip(columns(docs), docs.columns, strict=True) if name != "line_counts"]
+    out = joined.withColumn(kept_name, kept).withColumn("line_counts", F.struct(n.alias("n_lines"), (n - F.size(kept_name)).alias("n_dropped")))
+    return out.withColumn(text, F.array_join(kept_name, "\n")).select(*rest, "line_counts")
 
 
 ORACLE_SQL = """

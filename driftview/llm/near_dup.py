@@ -12,11 +12,13 @@ from pyspark.sql import functions as F
 
 from driftview.llm import tokens as tk
 from driftview.llm.components import components
-from driftview.llm.scratch import materialize
+from driftview.llm.scratch import columns, materialize
 from driftview.shipping import ship
 
 #: Counters of the document-frequency table: a fixed size, whatever the corpus.
 DF_BITS = 18
+#: Rounds of new comparisons without a new link after which no more are made.
+VAIN_ROUNDS = 2
 
 
 def document_frequencies(docs: DataFrame, text: str, width: int) -> np.ndarray:
@@ -153,7 +155,7 @@ def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.nd
     return with_b.select("a", "b", "text_a", "text_b").mapInArrow(verify, "a long, b long, similarity double")
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, idf_spread: float = 0.25) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, idf_spread: float = 0.1) -> DataFrame:
     """Class of each document: rows (doc_id, class_id, n_copies, n_links), one for each input row.
 
     Words are runs of ASCII letters and digits and of characters from U+0080,
@@ -164,9 +166,11 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     component of links; its id is the smallest document id in it.
 
     Within a bucket, members are compared with its first and last
-    representative, and then, as long as that finds links, one member of each
-    class in the bucket with that of the next, chosen by a new hash each time.
-    So a bucket of any size takes a number of comparisons in proportion to it.
+    representative, and then, round after round, a member of each class in the
+    bucket with one of another class, members and neighbours being drawn by a new
+    hash for each bucket and round; pairs that were compared are left out.  That
+    ends when no pairs are left, or after VAIN_ROUNDS rounds without a new link.
+    So a bucket of any size takes comparisons in proportion to it, never all pairs.
 
     Inverse document frequencies lie between 1 and 1 + ``idf_spread``: without
     that bound the common shingles of a large group of near copies would weigh
@@ -193,19 +197,25 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     # a repeated id could bring in another row's text: the smallest is as good as any, as both are of one document
     texts = materialize(source.join(candidates, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
     links = materialize(pair_similarities(hub_pairs, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
-    tried = 0
-    while True:
-        roots = components(links)
-        tried += 1
+    tried, turn, vain = materialize(hub_pairs, "tried"), 0, 0
+    roots = components(links)
+    while vain < VAIN_ROUNDS:
+        turn += 1
         labelled = shared.select("key", "rep").join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("root", "rep").alias("root"))
-        chosen = labelled.groupBy("key", "root").agg(F.min_by("rep", F.xxhash64("rep", F.lit(tried))).alias("rep"))
-        before = F.lag("rep").over(Window.partitionBy("key").orderBy("root"))
+        chosen = labelled.groupBy("key", "root").agg(F.min_by("rep", F.xxhash64("rep", "key", F.lit(turn))).alias("rep"))
+        before = F.lag("rep").over(Window.partitionBy("key").orderBy(F.xxhash64("root", "key", F.lit(turn)), "root"))
         chain = chosen.select("rep", before.alias("before")).where("before is not null")
         steps = chain.select(F.least("rep", "before").alias("a"), F.greatest("rep", "before").alias("b")).distinct()
-        more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
-        if not more.limit(1).count():
+        steps = materialize(steps.join(tried, ["a", "b"], "left_anti"), "steps")
+        if not steps.limit(1).count():
             break
-        links = materialize(links.unionByName(more).distinct(), "links")
+        tried = materialize(tried.unionByName(steps), "tried")
+        more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
+        if more.limit(1).count():
+            links, vain = materialize(links.unionByName(more), "links"), 0
+            roots = components(links)
+        else:
+            vain += 1
     degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
     classes = heads.join(roots.withColumnRenamed("node", "rep"), "rep", "left").join(degree, "rep", "left").select("d1", "d2", F.coalesce("root", "rep").alias("class_id"), "n_copies", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
     classes = materialize(classes, "classes")
@@ -223,6 +233,6 @@ def keep_one(docs: DataFrame, classes: DataFrame, doc_id: str = "doc_id") -> Dat
     dropped = classes.where("doc_id <> class_id").select(F.col("doc_id").alias(doc_id)).distinct()
     kept = docs.join(dropped, doc_id, "left_anti")
     if classes.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        known = kept.where(F.col(doc_id).isNotNull()).groupBy(doc_id).agg(F.min(F.struct(*docs.columns)).alias("row")).select("row.*")
+        known = kept.where(F.col(doc_id).isNotNull()).groupBy(doc_id).agg(F.min(F.struct(*columns(docs))).alias("row")).select("row.*")
         kept = known.unionByName(kept.where(F.col(doc_id).isNull()))
     return kept

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from driftview.llm import tokens as tk
 from driftview.llm.components import components
-from driftview.llm.scratch import materialize
+from driftview.llm.scratch import columns, fresh, materialize
 from driftview.shipping import ship
 
 #: Words of an anchored span, and shingles among which an anchor is smallest:
@@ -267,7 +267,8 @@ def passage_report(passages: DataFrame) -> DataFrame:
 def drop_passages(docs: DataFrame, passages: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents with the words of their removed passages cut out, from the first word's start to the last one's end."""
     ship(docs.sparkSession)
-    spans = passages.where("removed").groupBy("doc_id").agg(F.collect_set(F.struct("start", "n_words")).alias("__spans")).withColumnRenamed("doc_id", "__owner")
+    spans_name, owner = fresh(docs, "__spans"), fresh(docs, "__owner")
+    spans = passages.where("removed").groupBy("doc_id").agg(F.collect_set(F.struct("start", "n_words")).alias(spans_name)).withColumnRenamed("doc_id", owner)
 
     @F.udf(returnType="string")
     def cut(value, removed):  # noqa: ANN001, ANN202
@@ -282,5 +283,5 @@ def drop_passages(docs: DataFrame, passages: DataFrame, doc_id: str = "doc_id",
                 at, last = places[b - 1][1], b
         return "".join([*out, value[at:]])
 
-    joined = docs.join(spans, docs[doc_id] == spans["__owner"], "left")
-    return joined.withColumn(text, cut(F.col(text), F.col("__spans"))).select(*docs.columns)
+    joined = docs.join(spans, docs[doc_id] == spans[owner], "left")
+    return joined.withColumn(text, cut(F.col(text), F.col(spans_name))).select(*columns(docs))
