@@ -19,6 +19,8 @@ from driftview.shipping import ship
 DF_BITS = 18
 #: Rounds of new comparisons without a new link after which no more are made.
 VAIN_ROUNDS = 2
+#: The ids of so many pairs are sent to every task, 16 MB at most; of more, they are shuffled.
+BROADCAST_PAIRS = 1_000_000
 
 
 def document_frequencies(docs: DataFrame, text: str, width: int) -> np.ndarray:
@@ -150,8 +152,10 @@ def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.nd
                     likeness = np.where(total > 0, shared / (total - shared), 1.0)
                 yield pa.RecordBatch.from_arrays([part.column("a"), part.column("b"), pa.array(likeness)], ["a", "b", "similarity"])
 
-    with_a = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
-    with_b = with_a.join(texts.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    wanted = texts.join(F.broadcast(ids), "id", "left_semi") if pairs.count() <= BROADCAST_PAIRS else texts.join(ids, "id", "left_semi")
+    with_a = pairs.join(wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
+    with_b = with_a.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
     return with_b.select("a", "b", "text_a", "text_b").mapInArrow(verify, "a long, b long, similarity double")
 
 
@@ -196,19 +200,23 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     source = docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text"))
     # a repeated id could bring in another row's text: the smallest is as good as any, as both are of one document
     texts = materialize(source.join(candidates, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
+    hub_pairs = materialize(hub_pairs, "tried")
     links = materialize(pair_similarities(hub_pairs, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
-    tried, turn, vain = materialize(hub_pairs, "tried"), 0, 0
+    tried, turn, vain = hub_pairs, 0, 0
     roots = components(links)
+    open_ = shared.select("key", "rep")
     while vain < VAIN_ROUNDS:
         turn += 1
-        labelled = shared.select("key", "rep").join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("root", "rep").alias("root"))
+        labelled = open_.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("root", "rep").alias("root"))
         chosen = labelled.groupBy("key", "root").agg(F.min_by("rep", F.xxhash64("rep", "key", F.lit(turn))).alias("rep"))
         before = F.lag("rep").over(Window.partitionBy("key").orderBy(F.xxhash64("root", "key", F.lit(turn)), "root"))
-        chain = chosen.select("rep", before.alias("before")).where("before is not null")
+        chain = materialize(chosen.select("key", "rep", before.alias("before")).where("before is not null"), "chain")
         steps = chain.select(F.least("rep", "before").alias("a"), F.greatest("rep", "before").alias("b")).distinct()
         steps = materialize(steps.join(tried, ["a", "b"], "left_anti"), "steps")
         if not steps.limit(1).count():
             break
+        # classes only grow together: buckets of one class have nothing left to compare
+        open_ = materialize(open_.join(chain.select("key").distinct(), "key", "left_semi"), "open")
         tried = materialize(tried.unionByName(steps), "tried")
         more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
         if more.limit(1).count():
