@@ -184,6 +184,10 @@ class OneHot(FeatureFunction):
         return df.select(F.col(key).alias("id"), F.array_distinct(slots).alias("s")).select("id", sparse(F.transform("s", lambda s: F.struct(s.alias("idx"), F.lit(1.0).alias("val")))).alias("f"))
 
 
+def _plus(n: int) -> Callable[[Column], Column]:
+    return lambda i: i + n
+
+
 @dataclass(frozen=True)
 class Concat(FeatureFunction):
     """Several feature functions side by side; dense parts become sparse ones."""
@@ -202,8 +206,8 @@ class Concat(FeatureFunction):
         for k, part in enumerate(self.parts):
             rows = part.transform(df, key)
             f = F.col("f") if vectors.is_sparse(rows) else F.struct(F.sequence(F.lit(0), F.size("f") - 1).alias("idx"), F.col("f").alias("val"))
-            base = offset
-            rows = rows.select("id", F.struct(F.transform(f["idx"], lambda i, base=base: i + base).alias("idx"), f["val"].alias("val")).alias(f"f{k}"))
+            moved = F.transform(f["idx"], _plus(offset))
+            rows = rows.select("id", F.struct(moved.alias("idx"), f["val"].alias("val")).alias(f"f{k}"))
             joined = rows if joined is None else joined.join(rows, "id")
             names.append(f"f{k}")
             offset += part.dim
