@@ -17,8 +17,6 @@ from driftview.shipping import ship
 
 #: Counters of the document-frequency table: a fixed size, whatever the corpus.
 DF_BITS = 18
-#: Rounds of new comparisons without a new link after which a bucket is left alone.
-VAIN_ROUNDS = 2
 #: The ids of so many pairs are sent to every task, 16 MB at most; of more, they are shuffled.
 BROADCAST_PAIRS = 1_000_000
 
@@ -159,7 +157,7 @@ def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.nd
     return with_b.select("a", "b", "text_a", "text_b").mapInArrow(verify, "a long, b long, similarity double")
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, idf_spread: float = 0.1) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, idf_spread: float = 0.1, partner_rounds: int = 3) -> DataFrame:
     """Class of each document: rows (doc_id, class_id, n_copies, n_links), one for each input row.
 
     Words are runs of ASCII letters and digits and of characters from U+0080,
@@ -170,10 +168,10 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     component of links; its id is the smallest document id in it.
 
     Within a bucket, members are compared with its first and last
-    representative, and then, round after round, a member of each class in the
-    bucket with one of another class, members and neighbours being drawn by a new
-    hash for each bucket and round; pairs that were compared are left out.  A
-    bucket takes part until it has no new pair, or VAIN_ROUNDS rounds bring it no link.
+    representative, and then, in ``partner_rounds`` rounds or until one brings no
+    link, a member of each class in the bucket with one of another class, members
+    and neighbours being drawn by a new hash for each bucket and round; pairs that
+    were compared are left out.
     So a bucket of any size takes comparisons in proportion to it, never all pairs.
 
     Inverse document frequencies lie between 1 and 1 + ``idf_spread``: without
@@ -202,28 +200,22 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     texts = materialize(source.join(candidates, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
     hub_pairs = materialize(hub_pairs, "tried")
     links = materialize(pair_similarities(hub_pairs, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
-    tried, turn = hub_pairs, 0
-    roots = components(links)
-    open_ = shared.select("key", "rep", F.lit(0).alias("vain"))
-    while True:
-        turn += 1
+    tried, roots = hub_pairs, components(links)
+    open_ = shared.select("key", "rep")
+    for turn in range(partner_rounds):
         labelled = open_.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("root", "rep").alias("root"))
         chosen = labelled.groupBy("key", "root").agg(F.min_by("rep", F.xxhash64("rep", "key", F.lit(turn))).alias("rep"))
         before = F.lag("rep").over(Window.partitionBy("key").orderBy(F.xxhash64("root", "key", F.lit(turn)), "root"))
         chain = chosen.select("key", "rep", before.alias("before")).where("before is not null")
         chain = materialize(chain.select("key", F.least("rep", "before").alias("a"), F.greatest("rep", "before").alias("b")), "chain")
         steps = materialize(chain.select("a", "b").distinct().join(tried, ["a", "b"], "left_anti"), "steps")
-        if not steps.limit(1).count():
+        more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
+        if not more.limit(1).count():
             break
-        tried = materialize(tried.unionByName(steps), "tried")
-        more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b", F.lit(1).alias("hit")), "links")
-        # a bucket of one class, or of pairs that were all compared, has nothing left
-        fresh = chain.join(steps, ["a", "b"]).join(more, ["a", "b"], "left").groupBy("key").agg(F.max(F.coalesce("hit", F.lit(0))).alias("hit"))
-        open_ = open_.join(fresh, "key").select("key", "rep", F.when(F.col("hit") == 1, 0).otherwise(F.col("vain") + 1).alias("vain")).where(F.col("vain") < VAIN_ROUNDS)
-        open_ = materialize(open_, "open")
-        if more.limit(1).count():
-            links = materialize(links.unionByName(more.select("a", "b")), "links")
-            roots = components(links)
+        links, tried = links.unionByName(more), tried.unionByName(steps)
+        roots = components(links)
+        # classes only grow together: a bucket of one class has nothing left to compare
+        open_ = open_.join(chain.select("key").distinct(), "key", "left_semi")
     degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
     classes = heads.join(roots.withColumnRenamed("node", "rep"), "rep", "left").join(degree, "rep", "left").select("d1", "d2", F.coalesce("root", "rep").alias("class_id"), "n_copies", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
     classes = materialize(classes, "classes")
