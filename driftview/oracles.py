@@ -142,6 +142,7 @@ def oracle_sql() -> dict[str, str]:
             "title7_features": f"WITH {terms(first=7)} SELECT * FROM c",
             "tfidf_terms": f"WITH {terms()}, n AS (SELECT count(*) AS n FROM documents), d AS (SELECT term, count(*) AS df FROM c GROUP BY term) SELECT id, term, round(val * (ln((n + 1) / (df + 1)) + 1), 6) AS val FROM c JOIN d USING (term), n",
             "page_text_terms": f"WITH b AS (SELECT page_id, regexp_replace(html, '<[^>]*>', ' ', 'g') AS body FROM pages), {terms('b', 'page_id', 'body')} SELECT * FROM c",
+            "text_norms": f"WITH {terms()}, p AS (SELECT id, sum(val) AS l1, sqrt(sum(val * val)) AS l2, max(val) AS linf FROM c GROUP BY id) SELECT round(max(l2), 6) AS raw_l2, round(max(l2 / l1), 6) AS l1_l2, round(max(linf / l1), 6) AS l1_linf, round(max(linf / l2), 6) AS l2_linf FROM p",
             "onehot_parts": "SELECT DISTINCT p_partkey AS id, unnest(['p_brand=' || p_brand, 'p_type=' || p_type, 'p_size=' || p_size]) AS term, 1e0 AS val FROM part",
             "dense_norms": f"WITH {ENT} SELECT 'planted_lineitem' AS dataset, round(max(abs(f0) + abs(f1) + abs(f2) + abs(f3)), 6) AS m1, round(max(sqrt(f0 * f0 + f1 * f1 + f2 * f2 + f3 * f3)), 6) AS m2, round(max(greatest(abs(f0), abs(f1), abs(f2), abs(f3))), 6) AS minf FROM ent"
             " UNION ALL SELECT 'embeddings_binary', round(max(list_sum(list_transform(embedding, lambda x: abs(CAST(x AS DOUBLE))))), 6), round(max(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))))), 6), round(max(list_max(list_transform(embedding, lambda x: abs(CAST(x AS DOUBLE))))), 6) FROM embeddings",

@@ -84,6 +84,14 @@ def dense_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+@query
+def text_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Largest norms of word counts as they are, and over their sum or length: why texts are normalized."""
+    counts = fx.TermFrequency("text", norm=None).long_form(table(spark, sf_dir, "documents"), "doc_id")
+    per = counts.groupBy("id").agg(F.sum("val").alias("l1"), F.sqrt(F.sum(F.col("val") * F.col("val"))).alias("l2"), F.max("val").alias("linf"))
+    return per.agg(F.round(F.max("l2"), 6).alias("raw_l2"), F.round(F.max(F.col("l2") / F.col("l1")), 6).alias("l1_l2"), F.round(F.max(F.col("linf") / F.col("l1")), 6).alias("l1_linf"), F.round(F.max(F.col("linf") / F.col("l2")), 6).alias("l2_linf"))
+
+
 @query
 def polynomial2_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = workloads.planted_lineitem(spark, sf_dir)

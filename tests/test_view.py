@@ -53,6 +53,7 @@ def test_every_round_equals_a_full_relabel(small, options):
     assert view.label_of_many(ids).select("id", "class").exceptAll(view.exact()).count() == 0
     assert view.label_of(5) == view.exact().where("id = 5").first()["class"] and view.label_of(10**9) is None
     history = view.round_history()
+    assert view.explain_band().agg(F.sum("n_rows")).first()[0] == 400
     assert history.count() == len(view.history) and view.published()["round"] == view.round
     if view.options.policy == "eager" and view.options.clock == "rows":
         assert all(s.cost <= view.n / view.options.sigma for s in view.history)
