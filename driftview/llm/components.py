@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from driftview.llm.scratch import materialize
+from driftview.llm.scratch import discard, materialize
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -32,6 +32,8 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         jump = hooked.select(F.col("node").alias("next"), F.col("next").alias("further"))
         # a root is a node as well, so every step can be followed
         after = materialize(hooked.join(jump, "next").select("node", F.col("further").alias("root"), (F.col("further") < F.col("root")).alias("moved")), "roots")
+        moved = after.where("moved").limit(1).count()
+        discard(spark, roots, seen, hooked, *([] if moved else [edges]))
         roots = after.select("node", "root")
-        if not after.where("moved").limit(1).count():
+        if not moved:
             return roots
