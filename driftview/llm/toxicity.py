@@ -121,10 +121,12 @@ def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float =
         within = np.bincount(data.index[known], minlength=1 << FEATURE_BITS)
         without = np.bincount(data.index[~known], minlength=1 << FEATURE_BITS)
         telling = (within >= min_documents) & (within / n_known >= lift * (without + 1) / max(1, len(data.positive) - n_known))
-        data.value[~telling[data.index]] = 0.0
-        w, b = fit_nnpu(data, prior, 1 << FEATURE_BITS)
-        at = np.flatnonzero(w)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1), pa.int32()), pa.array(np.append(w[at], b))], ["feature", "weight"])
+        names, kept = np.flatnonzero(telling), telling[data.index]
+        row = np.repeat(np.arange(len(data.positive)), np.diff(data.starts))[kept]
+        starts = np.append(0, np.cumsum(np.bincount(row, minlength=len(data.positive))))
+        data = Examples(starts, np.searchsorted(names, data.index[kept]), data.value[kept], data.positive)
+        w, b = fit_nnpu(data, prior, len(names))
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(names, -1), pa.int32()), pa.array(np.append(w, b))], ["feature", "weight"])
 
     rows = texts.select("text", "positive").repartition(1).mapInArrow(fit, "feature int, weight double").toArrow()
     feature, weight = rows["feature"].to_numpy(), rows["weight"].to_numpy()
