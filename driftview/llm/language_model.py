@@ -24,7 +24,7 @@ TAIL_BITS = 9
 CLASSES = 1 + OWN + (1 << TAIL_BITS)
 STATES = 8
 BLOCK = 512
-SLICE = 8 << 20
+SLICE = 4 << 20
 
 
 def tail_class(tails: np.ndarray) -> np.ndarray:
@@ -233,7 +233,7 @@ def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sa
     def sequences(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         places = Places(shared.value.common)
         for batch in batches:
-            for part in tk.slices(batch, "text", 4 << 20):
+            for part in tk.slices(batch, "text", 2 << 20):
                 yield class_sequences(part.column("text"), shared.value, places)[2:]
 
     def warm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

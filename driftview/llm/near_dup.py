@@ -137,7 +137,7 @@ def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.nd
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in tk.slices(batch, "text_b", 2 << 20):
+            for part in tk.slices(batch, "text_b", 512 << 10):
                 columns = [part.column("text_a").cast(pa.large_string()), part.column("text_b").cast(pa.large_string())]
                 n = part.num_rows
                 _, who, what, weight = weighted_shingles(pa.concat_arrays(columns), width, share.value)

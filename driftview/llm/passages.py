@@ -188,7 +188,7 @@ def jaccard(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in tk.slices(batch, "text_b", 2 << 20):
+            for part in tk.slices(batch, "text_b", 512 << 10):
                 n = part.num_rows
                 both = pa.concat_arrays([part.column(c).cast(pa.large_string()) for c in ("text_a", "text_b")])
                 who, what, _ = tk.distinct(*tk.shingles(tk.words(both), WIDTH))
