@@ -64,6 +64,7 @@ class ClusteredStore:
     counts: list[int] = field(default_factory=list)
     frame: DataFrame | None = field(default=None, repr=False)
     sparse: bool = False
+    listed: DataFrame | None = field(default=None, repr=False)
 
     @classmethod
     def build(cls, entities: DataFrame, model: Model, path: str, q: float = 2.0, buckets: int = 16, layout: str = "clustered", memory: bool = False) -> ClusteredStore:
@@ -92,7 +93,9 @@ class ClusteredStore:
     def read(self) -> DataFrame:
         if self.frame is not None:
             return self.frame
-        return self.spark.read.schema(self.schema()).parquet(self.path)
+        if self.listed is None:  # files are listed once for each version, not for each read
+            self.listed = self.spark.read.schema(self.schema()).parquet(self.path)
+        return self.listed
 
     def schema(self) -> str:
         f = "f struct<idx: array<int>, val: array<double>>, " if self.sparse else "f array<double>, "
@@ -122,6 +125,7 @@ class ClusteredStore:
             self.frame = self.frame.unionByName(placed).persist(StorageLevel.MEMORY_AND_DISK)
         else:
             placed.write.mode("append").partitionBy("eps_bucket").parquet(self.path)
+            self.listed = None
         if self.entities is not None:
             self.entities = self.entities.unionByName(entities.select("id", "f"))
         self.recount()
