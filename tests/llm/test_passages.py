@@ -1,5 +1,8 @@
 import random
 
+import pytest
+
+from driftview.llm import settle
 from driftview.llm.passages import drop_passages, passage_report, repeated_passages
 from tests.llm.conftest import words
 
@@ -34,6 +37,33 @@ def test_near_equal_paragraphs_and_short_lines(frame):
     assert set(got) == {1, 2} and got[2]["class_id"] == 1
 
 
+@pytest.mark.parametrize("members", [settle.MEMBERS, 16])
+def test_a_large_group_of_near_copies_against_brute_force(frame, monkeypatch, members):
+    monkeypatch.setattr(settle, "MEMBERS", members)
+    rng, base, texts = random.Random(3), words(11, 150), {}
+    for k in range(120):
+        w = list(base)
+        for at in rng.sample(range(len(w)), 2):
+            w[at] = f"e{rng.randrange(10**6)}"
+        texts[k] = w
+    sets = {k: {tuple(w[i : i + 5]) for i in range(len(w) - 4)} for k, w in texts.items()}
+    root = {k: k for k in texts}
+
+    def find(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    for i in texts:
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    kept = [r for r in repeated_passages(frame([(k, " ".join(w)) for k, w in texts.items()])).collect() if r["n_words"] == 150]
+    first = {r["doc_id"]: r["first"]["doc_id"] for r in kept}
+    assert {k: first.get(k, k) for k in texts} == {k: find(k) for k in texts}
+
+
 def test_removal_keeps_the_first_copy_and_the_rest_of_the_text(frame):
     p, own = " ".join(words(7, 80)), [" ".join(words(k, 60)) for k in range(4)]
     docs = frame([(1, f"{own[0]}. {p}. {own[1]}."), (2, f"{own[2]}. {p}. {own[3]}."), (3, None)])
