@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from driftview.llm import tokens as tk
 from driftview.llm.components import components
 from driftview.llm.scratch import columns, materialize
+from driftview.llm.settle import settle
 from driftview.shipping import ship
 
 #: Counters of the document-frequency table: a fixed size, whatever the corpus.
@@ -131,6 +132,15 @@ def sketches(docs: DataFrame, doc_id: str, text: str, width: int, bins: int, row
     return docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text")).mapInArrow(sketch, "id long, d1 long, d2 long, n_words long, keys array<long>")
 
 
+def occurrences(column: pa.Array, width: int, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Owner, hash and weight of each occurrence of a shingle: two texts share as many as the smaller TF, so their weights add up to minima of TF-IDF."""
+    who, what, tf = tk.distinct(*tk.shingles(tk.words(column), width))
+    turn = np.arange(tf.sum()) - np.repeat(np.cumsum(tf) - tf, tf)
+    weight = idf[(what >> np.uint64(64 - DF_BITS)).astype(np.int64)].astype(np.float64)
+    again = np.where(turn > 0, tk.mix(turn.astype(np.uint64)), np.uint64(0))
+    return np.repeat(who, tf), tk.mix(np.repeat(what, tf) ^ again), np.repeat(weight, tf)
+
+
 def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.ndarray) -> DataFrame:
     """Weighted Jaccard similarity of the texts of each pair: (a, b, similarity)."""
     share = pairs.sparkSession.sparkContext.broadcast(idf)
@@ -172,7 +182,11 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     link, a member of each class in the bucket with one of another class, members
     and neighbours being drawn by a new hash for each bucket and round; pairs that
     were compared are left out.
-    So a bucket of any size takes comparisons in proportion to it, never all pairs.
+    These rounds join most of a large group; then all pairs of a bucket whose
+    members are not in one class yet are compared (see ``settle``), so no link
+    that joins two classes is left out.  ``n_links`` counts the links found on
+    the way, which are enough to join a class: pairs of one class are not all
+    compared, so it is not the number of all texts that are alike.
 
     Inverse document frequencies lie between 1 and 1 + ``idf_spread``: without
     that bound the common shingles of a large group of near copies would weigh
@@ -189,8 +203,8 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     idf = idf_table(document_frequencies(docs, text, width), n_docs, idf_spread)
     sketched = materialize(sketches(docs, doc_id, text, width, bands * rows, rows, idf), "sketches")
     known = sketched.where("id is not null")
-    heads = materialize(known.groupBy("d1", "d2").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies"), F.min_by("keys", "id").alias("keys")), "heads")
-    banded = heads.select("rep", F.explode("keys").alias("key"))
+    heads = materialize(known.groupBy("d1", "d2").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies"), F.min_by("keys", "id").alias("keys"), F.max("n_words").alias("n_words")), "heads")
+    banded = heads.select("rep", "n_words", F.explode("keys").alias("key"))
     hubs = banded.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     shared = materialize(banded.join(hubs, "key"), "buckets")
     hub_pairs = shared.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("rep").alias("b")), F.struct(F.col("rep").alias("a"), F.col("hi").alias("b")))).alias("p")).select("p.*").where("a < b").distinct()
@@ -216,6 +230,10 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
         roots = components(links)
         # classes only grow together: a bucket of one class has nothing left to compare
         open_ = open_.join(chain.select("key").distinct(), "key", "left_semi")
+    share = spark.sparkContext.broadcast(idf)
+    buckets = shared.select("key", F.col("rep").alias("unit"), F.col("rep").alias("owner"), F.col("n_words").alias("words"))
+    links = settle(buckets, links, texts.withColumnRenamed("id", "unit"), lambda column: occurrences(column, width, share.value), threshold)
+    roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
     classes = heads.join(roots.withColumnRenamed("node", "rep"), "rep", "left").join(degree, "rep", "left").select("d1", "d2", F.coalesce("root", "rep").alias("class_id"), "n_copies", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
     classes = materialize(classes, "classes")

@@ -1,6 +1,9 @@
 import random
 
-from driftview.llm.near_dup import keep_one, near_duplicates
+import numpy as np
+import pyarrow as pa
+
+from driftview.llm.near_dup import document_frequencies, idf_table, keep_one, near_duplicates, weighted_shingles
 from tests.llm.conftest import words
 
 
@@ -68,6 +71,24 @@ def test_large_group_links_through_edits(frame):
     assert lost == 0
 
 
+def test_large_group_against_all_pairs_at_the_threshold(frame):
+    base = words(7, 150)
+    docs = frame([(k, " ".join(edited(base, 2, k))) for k in range(120)])
+    idf = idf_table(document_frequencies(docs, "text", 5), 120, 0.1)
+    _, who, what, weight = weighted_shingles(pa.array([r["text"] for r in docs.select("doc_id", "text").orderBy("doc_id").collect()]), 5, idf)
+    _, name = np.unique(what, return_inverse=True)
+    table = np.zeros((120, name.max() + 1))
+    table[who, name] = weight
+    root = list(range(120))
+    for i in range(120):
+        for j in range(i):
+            if np.minimum(table[i], table[j]).sum() >= 0.8 * np.maximum(table[i], table[j]).sum():
+                a, b = sorted((root[i], root[j]))
+                root = [a if x == b else x for x in root]
+    found = {r["doc_id"]: r["class_id"] for r in near_duplicates(docs).collect()}
+    assert [found[k] for k in range(120)] == root
+
+
 def test_odd_rows(odd, frame):
     rows = near_duplicates(odd).collect()
     assert len(rows) == odd.count()
