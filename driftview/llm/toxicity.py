@@ -100,8 +100,9 @@ def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float =
     """Fit on a bounded table (text, positive) in one task, and return the weights.
 
     Weights go to features in ``min_documents`` confirmed texts or more whose
-    share among these is ``lift`` times that among the unlabelled ones or more:
-    a feature that only toxic texts have is 1 / prior times as frequent there.
+    share among these is ``lift`` times that among the unlabelled ones or more.
+    A feature that only toxic texts have is 1 / prior times as frequent there; so
+    where halfway from 1 to that is less than ``lift``, that is asked for instead.
     """
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -120,7 +121,8 @@ def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float =
         n_known = max(1, int(data.positive.sum()))
         within = np.bincount(data.index[known], minlength=1 << FEATURE_BITS)
         without = np.bincount(data.index[~known], minlength=1 << FEATURE_BITS)
-        telling = (within >= min_documents) & (within / n_known >= lift * (without + 1) / max(1, len(data.positive) - n_known))
+        bar = min(lift, (1.0 + 1.0 / prior) / 2.0)
+        telling = (within >= min_documents) & (within / n_known >= bar * (without + 1) / max(1, len(data.positive) - n_known))
         names, kept = np.flatnonzero(telling), telling[data.index]
         row = np.repeat(np.arange(len(data.positive)), np.diff(data.starts))[kept]
         starts = np.append(0, np.cumsum(np.bincount(row, minlength=len(data.positive))))

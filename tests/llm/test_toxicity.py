@@ -38,6 +38,19 @@ def test_held_out_accuracy(spark, frame):
     assert np.mean([found[k]["predicted"] for k in held if not truth[k]]) < 0.02
 
 
+def test_a_third_of_the_texts_is_toxic(spark, frame):
+    rng, rows, labels = random.Random(5), [], []
+    for k in range(600):
+        w, toxic = words(k, 80, 800), k % 10 < 3
+        for _ in range(4 * toxic):
+            w.insert(rng.randrange(80), rng.choice(BAD))
+        rows.append((k, " ".join(w)))
+        labels.append((k, int(toxic)))
+    marked = spark.createDataFrame([x for x in labels if x[0] % 3], "doc_id long, toxic int")
+    held = [r for r in toxicity(frame(rows), marked).collect() if r["held_out"]]
+    assert np.mean([r["predicted"] == dict(labels)[r["doc_id"]] for r in held]) > 0.95
+
+
 def test_held_out_labels_are_not_read(spark, frame):
     rows, labels = corpus(300)
     first = spark.createDataFrame(labels, "doc_id long, toxic int")
