@@ -8,20 +8,23 @@ from pyspark.sql import functions as F
 from driftview.llm.scratch import materialize
 
 #: White space that is left after compatibility composition.
-SPACES = r"[\x09-\x0D\x20\x85   ]+"
+SPACES = r"[\x09-\x0D\x20\x85\u1680\u2028\u2029]+"
 #: Fingerprints are sent to every task up to this many, about 64 MB; beyond it they are shuffled.
 BROADCAST_ROWS = 1_000_000
 MAX_SLOTS = 1 << 16
+SALTS = 64
 
 
 def canonical(text: Column) -> Column:
-    """Compatibility composition, case folding, and one blank for each run of white space, none at the ends.
+    """Compatibility composition, case folding, composition anew, and one blank for each run of white space, none at the ends.
 
-    Texts of ASCII alone need lower-casing only; others go through ICU in the JVM.
+    Folding can take a letter apart that another spelling leaves whole, so its
+    output is composed as well.  Texts of ASCII alone need lower-casing only;
+    others go through ICU in the JVM.
     """
-    composed = F.call_function("java_method", F.lit("com.ibm.icu.text.Normalizer"), F.lit("compose"), text, F.lit(True))
-    folded = F.call_function("java_method", F.lit("com.ibm.icu.lang.UCharacter"), F.lit("foldCase"), composed, F.lit(True))
-    same = F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(folded)
+    compose = lambda t: F.call_function("java_method", F.lit("com.ibm.icu.text.Normalizer"), F.lit("compose"), t, F.lit(True))
+    folded = F.call_function("java_method", F.lit("com.ibm.icu.lang.UCharacter"), F.lit("foldCase"), compose(text), F.lit(True))
+    same = F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(compose(folded))
     return F.btrim(F.regexp_replace(same, SPACES, " "))
 
 
@@ -32,29 +35,43 @@ def digest(canon: Column) -> Column:
 
 
 def equal_groups(marked: DataFrame, docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Documents of equal canonical text: (doc_id, fingerprint, group_id, group_size), a row for each row of ``marked``.
-
-    ``marked`` has (doc_id, fingerprint) of ``docs``.  Rows are grouped by
-    fingerprint.  Where a group has several rows, their canonical texts are
-    compared byte by byte: smallest and largest, which tasks combine before
-    they shuffle, are equal if all are.  Groups that hold different texts are
-    grouped anew by the text itself.  A group's id is its smallest doc_id.
+    """``marked`` with the groups of equal canonical text: its columns and (group_id, group_size).
+
+    ``marked`` has a row for each row of ``docs``, with doc_id and fingerprint
+    among its columns.  Rows are grouped by fingerprint.  Where a group has
+    several rows, their canonical texts are compared byte by byte: smallest and
+    largest, which tasks combine before they shuffle, are equal if all are.
+    Fingerprints that hold different texts are grouped anew by the text itself.
+    A group's id is its smallest doc_id, its size counts all of its rows.  Rows
+    with a null id are counted and named by their group, whose id is null only
+    if it holds no other.
+
+    Rows meet their groups by broadcast while these are few; beyond, fingerprints
+    are dealt to SALTS parts each, so that a large group is no single task's.
     """
     sums = marked.groupBy("fingerprint").agg(F.count("*").alias("group_size"), F.min("doc_id").alias("group_id"))
     several = materialize(sums.where("group_size > 1"), "equal")
+    few = several.count() <= BROADCAST_ROWS
     canon = canonical(F.coalesce(F.col(text), F.lit("")))
     rows = docs.select(F.col(doc_id).alias("doc_id"), canon.alias("canon")).withColumn("fingerprint", digest(F.col("canon")))
     wanted = several.select("fingerprint")
-    rows = rows.join(F.broadcast(wanted) if several.count() <= BROADCAST_ROWS else wanted, "fingerprint", "left_semi")
+    rows = rows.join(F.broadcast(wanted) if few else wanted, "fingerprint", "left_semi")
     mixed = materialize(rows.groupBy("fingerprint").agg(F.min("canon").alias("lo"), F.max("canon").alias("hi")).where("lo <> hi").select("fingerprint"), "mixed")
-    found = marked.select("doc_id", "fingerprint").join(several, "fingerprint", "left")
-    found = found.select("doc_id", "fingerprint", F.coalesce("group_id", "doc_id").alias("group_id"), F.coalesce("group_size", F.lit(1)).alias("group_size"))
+    if few:
+        found = marked.join(F.broadcast(several), "fingerprint", "left")
+    else:
+        salted = several.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        found = marked.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).join(salted, ["fingerprint", "salt"], "left")
+    found = found.select(*marked.columns, F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("group_id")).alias("group_id"), F.coalesce("group_size", F.lit(1)).alias("group_size"))
     if not mixed.limit(1).count():
         return found
     again = rows.join(mixed, "fingerprint")
-    parts = again.groupBy("fingerprint", "canon").agg(F.count("*").alias("group_size"), F.min("doc_id").alias("group_id"))
-    apart = again.join(parts, ["fingerprint", "canon"]).select("doc_id", "fingerprint", "group_id", "group_size")
-    return found.join(mixed, "fingerprint", "left_anti").select(*apart.columns).unionByName(apart)
+    parts = again.groupBy("fingerprint", "canon").agg(F.count("*").alias("part_size"), F.min("doc_id").alias("part_id"))
+    # rows of one id can differ in text: the smaller part is taken, as ids are keys elsewhere
+    apart = again.join(parts, ["fingerprint", "canon"]).groupBy(F.col("doc_id").alias("d"), F.col("fingerprint").alias("f")).agg(F.min(F.struct("part_size", "part_id")).alias("part"))
+    split = found.join(apart, found["doc_id"].eqNullSafe(F.col("d")) & (found["fingerprint"] == F.col("f")), "left")
+    own = lambda a, b: F.when(F.col("part").isNull(), F.col(b)).otherwise(F.col(f"part.{a}")).alias(b)
+    return split.select(*marked.columns, own("part_id", "group_id"), own("part_size", "group_size"))
 
 
 def with_next(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rows_per_slot: int = 64) -> DataFrame:
@@ -99,8 +116,9 @@ def fingerprint_report(docs: DataFrame, doc_id: str = "doc_id", text: str = "tex
     replaced by as many of the next document's first ones, or all.  Likeness is
     1 where two canonical texts are equal byte by byte, else 0.  A null or
     empty text is empty; empty texts are equal.  Repeated rows are equal
-    documents.  A lone document is its own next one.  An empty table gives an
-    empty result; other columns are ignored.
+    documents.  Rows with a null id come first in the order of documents and are
+    fingerprinted and grouped as all others.  A lone document is its own next
+    one.  An empty table gives an empty result; other columns are ignored.
     """
     pairs = with_next(docs, doc_id, text)
     n = F.char_length("text")
@@ -110,6 +128,4 @@ def fingerprint_report(docs: DataFrame, doc_id: str = "doc_id", text: str = "tex
     rows = rows.withColumn("c_edited", canonical(F.col("edited")))
     like = lambda a, b: (F.col(a) == F.col(b)).cast("double")
     marked = materialize(rows.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), digest(F.col("c")).alias("fingerprint"), digest(F.col("c_edited")).alias("edited_fingerprint"), like("c", "c_edited").alias("near_edited"), like("c", "c_next").alias("near_next")), "marked")
-    groups = equal_groups(marked, docs, doc_id, text)
-    known = groups.where("doc_id is not null").groupBy("doc_id", "fingerprint").agg(F.min("group_id").alias("group_id"), F.max("group_size").alias("group_size"))
-    return marked.join(known, ["doc_id", "fingerprint"], "left").select(*marked.columns, "group_id", F.coalesce("group_size", F.lit(1)).alias("group_size"))
+    return equal_groups(marked, docs, doc_id, text)

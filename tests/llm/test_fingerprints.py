@@ -10,7 +10,8 @@ from tests.llm.conftest import words
 
 
 def canonical(t):
-    return re.sub("[\x09-\x0d\x20\x85   ]+", " ", unicodedata.normalize("NFKC", t or "").casefold()).strip(" ")
+    folded = unicodedata.normalize("NFKC", unicodedata.normalize("NFKC", t or "").casefold())
+    return re.sub("[\x09-\x0d\x20\x85\u1680\u2028\u2029]+", " ", folded).strip(" ")
 
 
 def check(df, rows):
@@ -43,6 +44,21 @@ def test_equal_texts_have_equal_fingerprints(frame):
     assert [got[k]["group_id"] for k in range(1, 7)] == [1, 1, 1, 4, 5, 5] and got[2]["group_size"] == 3
 
 
+def test_folding_is_composed_again(frame):
+    rows = [(1, "\u03aa\u0301"), (2, "\u0390"), (3, "\u03b9\u0308\u0301"), (4, "\u03ca\u0301 "), (5, "\u1680\u0390\u2028"), (6, "\u03ca")]
+    got = {r["doc_id"]: r for r in check(frame(rows), rows)}
+    assert len({got[k]["fingerprint"] for k in range(1, 6)}) == 1 and got[6]["fingerprint"] != got[1]["fingerprint"]
+    assert all(ord(c) < 128 for c in fp.SPACES)
+
+
+@pytest.mark.parametrize("limit", [0, 10**6])
+def test_null_ids_are_counted_in_their_groups(frame, monkeypatch, limit):
+    monkeypatch.setattr(fp, "BROADCAST_ROWS", limit)
+    rows = [(None, "x y"), (3, "X  y"), (None, "only null"), (None, "only  null"), (8, "x y"), (9, "z")]
+    got = sorted((r["doc_id"] or 0, r["group_id"] or 0, r["group_size"]) for r in fp.fingerprint_report(frame(rows)).collect())
+    assert got == [(0, 0, 2), (0, 0, 2), (0, 3, 3), (3, 3, 3), (8, 3, 3), (9, 9, 1)]
+
+
 def test_different_texts_in_one_bucket_are_parted(frame, monkeypatch):
     monkeypatch.setattr(fp, "digest", lambda c: F.lit("0" * 32))
     docs = frame([(1, "a"), (2, "b"), (3, "A"), (4, "c")])
