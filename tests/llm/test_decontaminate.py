@@ -1,3 +1,4 @@
+import itertools
 import random
 
 from driftview.llm.decontaminate import clean_of, contamination
@@ -30,7 +31,7 @@ def test_exact_substituted_and_clean(spark, frame):
 def test_short_items_are_sought_whole(spark, frame):
     docs = frame([(1, "one two three four five six seven"), (2, "one two three four five x"), (3, "two three four")])
     items = bench(spark, [(1, "Two three four five six!", 0), (2, "two three four", 0), (3, "", 0), (4, None, 0), (None, "one two three four five", 0)])
-    assert hits(docs, items) == {(1, 1)}
+    assert hits(docs, items) == {(1, 1), (2, 1)}
 
 
 def test_windows_against_brute_force(spark, frame):
@@ -43,19 +44,44 @@ def test_windows_against_brute_force(spark, frame):
         docs[k] = words(200 + k, 30) + noisy + words(300 + k, 30)
     found = hits(frame([(k, " ".join(v)) for k, v in docs.items()]), bench(spark, [(k, " ".join(v), 0) for k, v in items.items()]))
 
-    def seeded(eq):
-        return any(all(eq[i + o] for o in m) for m in ((0, 1, 2, 5, 7, 9), (0, 2, 3, 4, 8, 9)) for i in range(len(eq) - 9))
-
     truth = set()
     for d, dw in docs.items():
         for b, bw in items.items():
             for shift in range(-len(bw), len(dw)):
                 eq = [0 <= shift + k < len(dw) and dw[shift + k] == w for k, w in enumerate(bw)]
-                if any(sum(eq[i : i + 13]) >= 11 for i in range(len(bw) - 12)) and seeded(eq):
+                if any(sum(eq[i : i + 13]) >= 11 for i in range(len(bw) - 12)):
                     truth.add((d, b))
     assert found == truth and len(truth) > 15
 
 
+def test_no_tolerated_substitution_is_missed(spark, frame):
+    """Every choice of replaced words that leaves 80 % of an item, for items of 5 to 13 words, beside choices of one more."""
+    items, docs, want = [], [], set()
+    for n in range(5, 14):
+        item = words(n, n)
+        items.append((n, " ".join(item), 0))
+        allowed = n - -(-n * 8 // 10)
+        for spoilt in (allowed, allowed + 1):
+            for choice in itertools.combinations(range(n), spoilt):
+                if spoilt > allowed and sum(choice) % 7:
+                    continue
+                docs.append((len(docs), " ".join(["before", *(f"r{k}" if k in choice else w for k, w in enumerate(item)), "after"])))
+                if spoilt == allowed:
+                    want.add((docs[-1][0], n))
+    assert hits(frame(docs), bench(spark, items)) == want
+
+
+def test_repeated_ids_are_read_each(spark, frame, monkeypatch):
+    import driftview.llm.decontaminate as d
+
+    a, b = (" ".join(words(k, 20)) for k in (1, 2))
+    docs = frame([(1, a + " x"), (1, b + " y"), (2, " ".join(words(9, 30))), (3, " ".join(["again"] * 4000))])
+    items = bench(spark, [(7, a, 0), (7, b, 0), (8, b, 0), (9, " ".join(["again"] * 300), 0)])
+    for limit in (10**6, 0):
+        monkeypatch.setattr(d, "BROADCAST_SEEDS", limit)
+        assert hits(docs, items) == {(1, 7), (1, 8), (3, 9)}
+
+
 def test_shuffled_path_gives_the_same(spark, frame, monkeypatch):
     import driftview.llm.decontaminate as d
 
