@@ -99,10 +99,27 @@ def max_norm(df: DataFrame, q: float, column: str = "f") -> float:
     return df.agg(F.max(vector_norm(df, q, column))).first()[0] or 0.0
 
 
-def finite(df: DataFrame, column: str = "f") -> Column:
-    """Whether no value is NaN or infinite."""
-    values = F.col(column)["val"] if is_sparse(df, column) else F.col(column)
-    return F.forall(values, lambda x: ~F.isnan(x) & (F.abs(x) < F.lit(math.inf)))
+def usable(df: DataFrame, dim: int, q: float, key: str = "id", column: str = "f") -> Column:
+    """Whether a row can be an entity: its key is not null, its vector is of ``dim`` dimensions, and its q-norm is a finite number.
+
+    A vector that is null, or holds a null, a NaN or an infinite value, is not
+    usable.  NaN is larger than any number here, so one comparison tells.
+    """
+    f = F.col(column)
+    if is_sparse(df, column):
+        idx = f["idx"]
+        shape = (F.size(idx) == F.size(f["val"])) & (F.coalesce(F.array_min(idx), F.lit(0)) >= 0) & (F.coalesce(F.array_max(idx), F.lit(0)) < dim)
+    else:
+        shape = F.size(f) == dim
+    # a null among the values makes a sum null, but the largest of absolute values passes over it
+    holds_null = F.exists(f["val"] if is_sparse(df, column) else f, F.isnull) if math.isinf(q) else F.lit(False)
+    return F.coalesce(F.col(key).isNotNull() & shape & (vector_norm(df, q, column) < F.lit(math.inf)) & ~holds_null, F.lit(False))
+
+
+def score_sql(model: Model, column: str = "f") -> str:
+    """``dense_score`` as SQL text, which takes one call to build."""
+    terms = "".join(f" + {weight!r}D * get({column}, {k})" for k, weight in enumerate(model.w.tolist()))
+    return f"0D{terms} - {float(model.b)!r}D"
 
 
 def register_sql(spark: SparkSession) -> None:

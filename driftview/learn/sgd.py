@@ -59,6 +59,18 @@ class SgdTrainer:
                 w = w - eta * g * np.asarray(f, float)
         return Model(w, model.b + eta * g if g else model.b, model.round + 1)
 
+    def run(self, model: Model, batch: Iterable[tuple[Vector, int]]) -> Model:
+        """The model after a batch; sparse examples take time in proportion to their non-zeros, and the weights are copied once."""
+        batch = list(batch)
+        if batch and isinstance(batch[0][0], tuple):
+            scaled = ScaledSgd(self, model)
+            for f, y in batch:
+                scaled.step(*f, y)
+            return scaled.model()
+        for f, y in batch:
+            model = self.step(model, f, y)
+        return model
+
     def partial_fit(self, model: Model, batch: Iterable[tuple[Vector, int]]) -> list[Model]:
         """A model for each example of the batch, in order."""
         out = []
@@ -71,8 +83,7 @@ class SgdTrainer:
         """Warm training over the examples in the order given."""
         model = Model.zero(dim)
         for _ in range(epochs):
-            for f, y in examples:
-                model = self.step(model, f, y)
+            model = self.run(model, examples)
         return model
 
 

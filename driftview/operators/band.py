@@ -69,22 +69,41 @@ class WaterMarks:
     round by round needs; ``pairwise`` covers the last two rounds, which is
     enough if the view was right one round ago; ``current`` covers this round
     alone, and is right only for reads that score the band anew.
-    Moves are kept, so that the bounds can be redone for a larger M.
+    The extremes run along, so a push and a read take constant time; moves are
+    kept, so that they can be redone for a larger M.
     """
 
     kind: str = "cumulative"
     moves: list[tuple[float, float]] = field(default_factory=lambda: [(0.0, 0.0)])
+    _extremes: tuple[float, int, float, float] = field(default=(-1.0, 0, math.inf, -math.inf), repr=False)
 
     def push(self, distance: float, shift: float) -> None:
         self.moves.append((distance, shift))
 
     def bounds(self, largest: float, slack: float = 0.0) -> tuple[float, float]:
-        span = {"cumulative": self.moves, "pairwise": self.moves[-2:], "current": self.moves[-1:]}[self.kind]
-        lows, highs = zip(*[(b - largest * d - slack * (d > 0 or b != 0), b + largest * d + slack * (d > 0 or b != 0)) for d, b in span], strict=True)
-        return min(lows), max(highs)
+        if self.kind == "cumulative":
+            of, seen, low, high = self._extremes
+            if of != largest:
+                seen, low, high = 0, math.inf, -math.inf
+            low, high = self._widened(self.moves[seen:], largest, low, high)
+            self._extremes = (largest, len(self.moves), low, high)
+            return min(0.0, low - slack), max(0.0, high + slack)
+        span = self.moves[-2:] if self.kind == "pairwise" else self.moves[-1:]
+        low, high = self._widened(span, largest, math.inf, -math.inf)
+        if (0.0, 0.0) in span:
+            return min(0.0, low - slack), max(0.0, high + slack)
+        return low - slack, high + slack
+
+    @staticmethod
+    def _widened(moves: Sequence[tuple[float, float]], largest: float, low: float, high: float) -> tuple[float, float]:
+        for d, b in moves:
+            if d > 0 or b != 0:
+                low, high = min(low, b - largest * d), max(high, b + largest * d)
+        return low, high
 
     def reset(self) -> None:
         self.moves = [(0.0, 0.0)]
+        self._extremes = (-1.0, 0, math.inf, -math.inf)
 
 
 def water_marks(models: Sequence[Model], stored: int, largest: float, p: float, kind: str = "cumulative", slack: float = 0.0) -> list[tuple[int, float, float, float, float]]:

@@ -20,6 +20,12 @@ from driftview.functions import vectors
 from driftview.learn.model import Model
 
 
+#: Rows that a task places at most, but for ranges that are uneven.
+ROWS_PER_TASK = 1_000_000
+#: Error of the quantile that cuts the buffer: 1 over this.
+QUANTILE_STEPS = 20_000
+
+
 def write_text(spark: SparkSession, path: str, text: str) -> None:
     """Write a small file in whatever store the path names, under another name first."""
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
@@ -65,26 +71,43 @@ class ClusteredStore:
     frame: DataFrame | None = field(default=None, repr=False)
     sparse: bool = False
     listed: DataFrame | None = field(default=None, repr=False)
+    n: int = 0
+    largest: float = 0.0
 
     @classmethod
     def build(cls, entities: DataFrame, model: Model, path: str, q: float = 2.0, buckets: int = 16, layout: str = "clustered", memory: bool = False) -> ClusteredStore:
-        """Score, range-partition by margin, sort within and write; with ``memory``, keep the same in memory, where it can be dropped and made again."""
+        """Score, place by margin, sort within and write; with ``memory``, keep the same in memory, where it can be dropped and made again.
+
+        One pass counts the rows and finds the quantiles, a second places them.
+        Ranges of margins are dealt to tasks in order; a range of many rows, such
+        as that of a model which knows nothing yet, to several.  Files carry a
+        filter on the id, so that a look-up opens few of them.
+        """
         spark = entities.sparkSession
         scored = entities.select("id", "f", vectors.score(entities, model).alias("eps"), vectors.vector_norm(entities, q).alias("norm_q"))
         cuts = [k / buckets for k in range(1, buckets)]
-        found = scored.agg(F.percentile_approx("eps", F.array(*map(F.lit, cuts)), 1000)).first()[0] if cuts else []
-        store = cls(spark, path, sorted(set(found or [])), layout, entities, sparse=vectors.is_sparse(entities))
+        quantiles = F.percentile_approx("eps", F.array(*map(F.lit, cuts)), 1000) if cuts else F.lit(None)
+        n, largest, found = scored.agg(F.count("*"), F.max("norm_q"), quantiles).first()
+        store = cls(spark, path, sorted(set(found or [])), layout, entities, sparse=vectors.is_sparse(entities), n=n, largest=float(largest or 0.0))
         columns = ["id", "f", "eps", "norm_q"] if layout == "clustered" else ["id", "eps", "norm_q"]
         placed = scored.select(*columns, bucket_of(F.col("eps"), store.splits).alias("eps_bucket"))
-        placed = placed.repartitionByRange(buckets, "eps").sortWithinPartitions("eps")
+        ranges, threads = len(store.splits) + 1, spark.sparkContext.defaultParallelism
+        tasks = min(ranges, threads)
+        each = max(50_000, min(ROWS_PER_TASK, n // threads))
+        salts = max(1, -(-n // (each * (tasks if ranges == buckets else 1))))
+        task = F.floor(F.col("eps_bucket") * tasks / ranges) * salts + F.pmod(F.xxhash64("id"), F.lit(salts))
+        placed = placed.repartitionById(tasks * salts, task.cast("int")).sortWithinPartitions("eps_bucket", "eps")
         if memory:
             store.frame = placed.persist(StorageLevel.MEMORY_AND_DISK)
-            store.frame.count()
         else:
-            placed.write.partitionBy("eps_bucket").parquet(path)
+            store.write(placed, n // (tasks * salts))
         store.recount()
         return store
 
+    def write(self, placed: DataFrame, rows_per_file: int) -> None:
+        out = placed.write.mode("append").partitionBy("eps_bucket").option("parquet.bloom.filter.enabled#id", "true")
+        out.option("parquet.bloom.filter.expected.ndv#id", str(max(1000, rows_per_file))).parquet(self.path)
+
     def recount(self) -> None:
         """Rows of each range, which the planner needs."""
         rows = {r[0]: r[1] for r in self.read().groupBy("eps_bucket").count().collect()}  # a row for each directory
@@ -124,24 +147,17 @@ class ClusteredStore:
         if self.frame is not None:
             self.frame = self.frame.unionByName(placed).persist(StorageLevel.MEMORY_AND_DISK)
         else:
-            placed.write.mode("append").partitionBy("eps_bucket").parquet(self.path)
+            self.write(placed, 1000)
             self.listed = None
         if self.entities is not None:
             self.entities = self.entities.unionByName(entities.select("id", "f"))
         self.recount()
 
-    def rows_at_most(self, low: float, high: float) -> int:
-        """An upper count of rows in a range, from the ranges' counts alone."""
-        return sum(self.counts[bisect_right(self.splits, low) : bisect_right(self.splits, high) + 1])
-
     def evict(self) -> None:
         """Drop what is in memory; the plan can make it again."""
         if self.frame is not None:
             self.frame.unpersist()
 
-    def rebuild(self) -> int:
-        return self.read().count()
-
 
 def hybrid_bytes(n: int, buffered: int, key: int, feature: int) -> int:
     """Memory of a margin map of ``n`` keys and a buffer of entities."""
@@ -158,12 +174,14 @@ class MarginMap:
 
     margins: DataFrame
     buffer: DataFrame
+    ids: DataFrame
     buffered: int
 
     @classmethod
     def build(cls, store: ClusteredStore, low: float, high: float, buffered: int) -> MarginMap:
         margins = store.read().select("id", "eps", "eps_bucket").persist(StorageLevel.MEMORY_AND_DISK)
-        return cls(margins, choose_buffer(store, low, high, buffered).persist(StorageLevel.MEMORY_AND_DISK), buffered)
+        buffer = choose_buffer(store, low, high, buffered).persist(StorageLevel.MEMORY_AND_DISK)
+        return cls(margins, buffer, buffer.select("id"), buffered)
 
     def drop(self) -> None:
         self.margins.unpersist()
@@ -176,9 +194,29 @@ def band_distance(eps: Column, low: float, high: float) -> Column:
 
 
 def choose_buffer(store: ClusteredStore, low: float, high: float, buffered: int) -> DataFrame:
-    """The ``buffered`` entities nearest to the band, ties by id: (id, f)."""
-    rows = store.read().withColumn("distance", band_distance(F.col("eps"), low, high)).orderBy("distance", "id").limit(buffered)
-    return store.with_vectors(rows).select("id", "f")
+    """The ``buffered`` entities nearest to the band, ties by id: (id, f).
+
+    A quantile of the distance settles all but those about the cut; only these
+    are sorted.  Where more rows tie, inside the band, than the buffer holds, the
+    quantile is of their ids.  Vectors are fetched for the chosen ids alone.
+    """
+    rows = store.read().select("id", band_distance(F.col("eps"), low, high).alias("distance"))
+
+    def nearest(rows: DataFrame, by: str, k: int) -> tuple[DataFrame, DataFrame, int]:
+        """Rows surely among the ``k`` of smallest ``by``, rows that may be, and how many of these."""
+        n = rows.count()
+        shares = [max(0.0, k / max(1, n) - 2.0 / QUANTILE_STEPS), min(1.0, k / max(1, n) + 2.0 / QUANTILE_STEPS)]
+        a, b = rows.agg(F.percentile_approx(by, F.array(*map(F.lit, shares)), QUANTILE_STEPS)).first()[0] or (0, 0)
+        sure = rows.where(F.col(by) < F.lit(a))
+        return sure, rows.where((F.col(by) >= F.lit(a)) & (F.col(by) <= F.lit(b))), k - sure.count()
+
+    sure, open_, left = nearest(rows, "distance", buffered)
+    within = open_.where("distance = 0")
+    if within.limit(left + 1).count() > left:
+        more, open_, left = nearest(within, "id", left)
+        sure = sure.unionByName(more)
+    chosen = sure.unionByName(open_.orderBy("distance", "id").limit(max(0, left))).select("id")
+    return store.with_vectors(store.read().join(chosen, "id", "left_semi")).select("id", "f")
 
 
 def dump(state: dict) -> str:

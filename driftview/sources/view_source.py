@@ -53,6 +53,8 @@ class ViewReader(DataSourceReader):
 
     def partitions(self) -> list[Part]:
         state = self._manifest()
+        if state["policy"] != "eager" or state["arch"] == "memory" or state["band"] == "pairwise" or state["n_deleted"]:
+            raise ValueError("only an eager view on disk, without removals since it was clustered, can be read from its files alone")
         files, root = _open(self.path)
         version = f"{root}/v={state['base_version']}"
         classes = {v for n, k, v in self.filters if (n, k) == ("class", "eq")}

@@ -8,7 +8,7 @@ from driftview.learn.model import Model
 from driftview.learn.sgd import SgdTrainer
 from driftview.operators.band import HolderPair
 from driftview.operators.measures import diff_with_exact
-from driftview.operators.store import full_bytes, hybrid_bytes
+from driftview.operators.store import choose_buffer, full_bytes, hybrid_bytes
 from driftview.operators.view import ClassificationView, Options, gather
 from driftview.plans import replay, workloads
 from driftview.plans.declare import create_view, parse_definition, run_statement
@@ -81,6 +81,75 @@ def test_entities_arrive_leave_and_change(small, spark):
     exactly(view)
 
 
+@pytest.mark.parametrize("options", [{}, {"policy": "lazy"}, {"arch": "memory"}, {"policy": "lazy", "arch": "hybrid"}, {"pair": HolderPair.for_norm("l1")}, {"layout": "slim"}], ids=str)
+def test_unusable_rows_are_set_aside(small, spark, options):
+    entities, batch = small
+    nan, inf = float("nan"), float("inf")
+    odd = spark.createDataFrame([(900, [nan, 0.0, 0.0]), (901, [1.0, inf, 0.0]), (902, [1.0, None, 0.0]), (903, None), (904, [1.0]), (None, [1.0, 1.0, 1.0]), (905, [1.0, 2.0, 3.0])], "id long, f array<double>")
+    view, rest = start((entities.unionByName(odd), batch), **options)
+    assert {r["id"] for r in view.refused(odd).collect()} == {900, 901, 902, 903, 904, None}
+    view.update(rest[:10])
+    view.add_entities(odd.select((F.col("id") + 50).alias("id"), "f"))
+    view.update(rest[10:20])
+    exactly(view)
+    ids = {r["id"] for r in view.view().collect()}
+    assert ids == {*range(400), 905, 955}
+    assert all(np.isfinite(view.bounds)) and view.label_of(900) is None and view.label_of(955) is not None
+
+
+@pytest.mark.parametrize("options", [{}, {"policy": "lazy"}, {"arch": "memory", "policy": "lazy"}, {"layout": "slim", "policy": "lazy"}, {"band": "pairwise"}], ids=str)
+def test_the_name_follows_every_change(small, spark, options):
+    view, rest = start(small, **options)
+    view.name = f"named_{abs(hash(str(options)))}"
+    vector = "id long, f array<double>"
+
+    def follows(n):
+        rows = spark.table(view.name)
+        assert rows.count() == n and diff_with_exact(rows, view.exact()).count() == 0
+
+    view.update(rest[:10])
+    follows(400)
+    view.delete_entities(spark.createDataFrame([(3,), (5,), (None,)], "id long"))
+    follows(398)
+    view.add_entities(spark.createDataFrame([(700, [9.0, -9.0, 9.0])], vector))
+    follows(399)
+    view.update(rest[10:20])
+    follows(399)
+    view.add_entities(spark.createDataFrame([(3, [-9.0, 9.0, -9.0])], vector))  # deleted before
+    follows(400)
+    assert view.label_of(3) == view.exact().where("id = 3").first()["class"] and view.label_of(5) is None
+    view.add_entities(spark.createDataFrame([(7, [8.0, 0.0, 0.0])], vector))  # there already
+    follows(400)
+    with pytest.raises(ValueError):
+        view.add_entities(spark.createDataFrame([(800, [1.0, 1.0, 1.0]), (800, [2.0, 1.0, 1.0])], vector))
+    view.update(rest[20:30])
+    follows(400)
+
+
+def test_a_look_up_opens_few_files(small):
+    view, rest = start(small)
+    view.update(rest[:4])
+    plan = view.store.read().where("id = 7")._jdf.queryExecution().executedPlan().toString()
+    assert "EqualTo(id,7)" in plan
+    assert [view.label_of(k) for k in range(0, 400, 41)] == [r["class"] for r in view.exact().where("id % 41 = 0").orderBy("id").collect()]
+
+
+def test_equal_margins_are_dealt_to_several_tasks(spark):
+    rows = spark.range(300_000).select("id", F.array(F.lit(1.0), F.col("id") / 3e5).alias("f"))
+    view = ClassificationView(rows, TRAINER, 2, Options(buckets=4))  # a cold start: all margins are 0
+    assert view.n == 300_000
+    assert view.store.read().select(F.input_file_name()).distinct().count() > 1
+
+
+def test_the_buffer_holds_the_nearest(small):
+    view, rest = start(small, arch="hybrid", buffer_share=0.1)
+    view.update(rest[:4])
+    for low, high in ((0.0, 0.0), (-0.3, 0.4), (-50.0, 50.0)):
+        got = {r["id"] for r in choose_buffer(view.store, low, high, 40).collect()}
+        rows = sorted((max(r["eps"] - high, 0.0) if r["eps"] >= high else max(low - r["eps"], 0.0), r["id"]) for r in view.store.read().collect())
+        assert got == {k for _, k in rows[:40]}
+
+
 def test_deleted_and_relabelled_examples_mean_training_anew(small):
     view, rest = start(small)
     view.update(rest)
