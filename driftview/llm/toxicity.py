@@ -96,9 +96,10 @@ def fit_nnpu(data: Examples, prior: float, dim: int, epochs: int = 100, batch: i
     return w, float(b)
 
 
-def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float = 4.0) -> tuple[np.ndarray, float]:
-    """Fit on a bounded table (text, positive) in one task, and return the weights.
+def train(texts: DataFrame, prior: float, max_bytes: int, min_documents: int = 3, lift: float = 4.0) -> tuple[np.ndarray, float]:
+    """Fit on a bounded table (id, text, positive) in one task, and return the weights.
 
+    Texts are read in the order of their draw until they make ``max_bytes``.
     Weights go to features in ``min_documents`` confirmed texts or more whose
     share among these is ``lift`` times that among the unlabelled ones or more.
     A feature that only toxic texts have is 1 / prior times as frequent there; so
@@ -107,8 +108,14 @@ def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float =
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sizes, index, value, positive = [np.zeros(1, np.int64)], [], [], []
+        room = max_bytes
         for batch in batches:
             for part in tk.slices(batch, "text"):
+                ends = np.diff(tk.utf8(part.column("text"))[1]).cumsum()
+                part = part.slice(0, int(np.searchsorted(ends, room, "right")))
+                room = room - int(ends[-1]) if part.num_rows == len(ends) else 0
+                if not part.num_rows:
+                    break
                 who, what, x, n = features(part.column("text"))
                 sizes.append(np.bincount(who, minlength=n))
                 index.append(what.astype(np.int32))
@@ -130,7 +137,8 @@ def train(texts: DataFrame, prior: float, min_documents: int = 3, lift: float =
         w, b = fit_nnpu(data, prior, len(names))
         yield pa.RecordBatch.from_arrays([pa.array(np.append(names, -1), pa.int32()), pa.array(np.append(w, b))], ["feature", "weight"])
 
-    rows = texts.select("text", "positive").repartition(1).mapInArrow(fit, "feature int, weight double").toArrow()
+    drawn = texts.repartition(1).sortWithinPartitions(F.xxhash64(F.lit("sample"), "id"), "id", "positive")
+    rows = drawn.select("text", "positive").mapInArrow(tk.frugal(fit), "feature int, weight double").toArrow()
     feature, weight = rows["feature"].to_numpy(), rows["weight"].to_numpy()
     w = np.zeros(1 << FEATURE_BITS, np.float32)
     w[feature[feature >= 0]] = weight[feature >= 0]
@@ -147,7 +155,7 @@ def score(docs: DataFrame, w: np.ndarray, b: float, doc_id: str, text: str) -> D
                 z = np.bincount(who, share.value[what] * x, n) + b
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(_sigmoid(z))], ["doc_id", "score"])
 
-    return docs.select(F.col(doc_id).alias("doc_id"), F.lower(text).alias("text")).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, score double")
+    return docs.select(F.col(doc_id).alias("doc_id"), F.lower(text).alias("text")).mapInArrow(tk.frugal(run), f"doc_id {docs.schema[doc_id].dataType.simpleString()}, score double")
 
 
 def fold(doc_id: Column, modulus: int) -> Column:
@@ -155,13 +163,14 @@ def fold(doc_id: Column, modulus: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % modulus, F.lit(0)).cast("int")
 
 
-def toxicity(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "toxic", folds: int = 5, max_positive: int = 3000, max_unlabelled: int = 9000) -> DataFrame:
+def toxicity(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "toxic", folds: int = 5, max_positive: int = 3000, max_unlabelled: int = 9000, max_bytes: int = 64 << 20) -> DataFrame:
     """Score every text: rows (doc_id, held_out, score, predicted).
 
     Labels are learned only from ids outside fold 0 of ``folds``.  The
     classifier is fitted on a bounded sample, at most ``max_positive``
     confirmed toxic texts and ``max_unlabelled`` others, chosen by a hash of
-    the id; the class prior is the share of toxic ones among all labels outside
+    the id, and of these on as many as make ``max_bytes``, in the same order; an
+    id gives one text, the smallest of those that repeat it; the class prior is the share of toxic ones among all labels outside
     fold 0.  Unlabelled texts are drawn from all documents outside fold 0,
     labelled or not, and their labels are not read.  Every whole text is scored.
 
@@ -178,11 +187,11 @@ def toxicity(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: s
     prior = min(0.9, max(1e-3, toxic / n)) if n else 0.1
     draw = F.xxhash64(F.lit("sample"), "id")
     positives = marked.where("y > 0").orderBy(draw, "id").limit(max_positive).select("id")
-    ids = docs.select(F.col(doc_id).alias("id")).where(F.col("id").isNotNull() & (fold(F.col("id"), folds) != 0))
+    ids = docs.select(F.col(doc_id).alias("id")).where(F.col("id").isNotNull() & (fold(F.col("id"), folds) != 0)).distinct()
     unlabelled = ids.orderBy(draw, "id").limit(max_unlabelled)
     # at most max_positive + max_unlabelled ids: small enough to send to every task
     sample = positives.select("id", F.lit(True).alias("positive")).unionByName(unlabelled.select("id", F.lit(False).alias("positive")))
     texts = docs.select(F.col(doc_id).alias("id"), F.lower(text).alias("text")).join(F.broadcast(sample), "id")
-    w, b = train(texts, prior)
+    w, b = train(texts.groupBy("id", "positive").agg(F.min("text").alias("text")), prior, max_bytes)
     scored = score(docs, w, b, doc_id, text)
     return scored.select("doc_id", (fold(F.col("doc_id"), folds) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
