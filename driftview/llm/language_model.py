@@ -103,7 +103,7 @@ def count_words(train: DataFrame) -> DataFrame:
                 word, first, n = np.unique(tokens.hashes, return_index=True, return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(tail_class(tokens.tails[first])), pa.array(n)], ["word", "tail", "n"])
 
-    return train.mapInArrow(count, "word long, tail int, n long").groupBy("word").agg(F.min("tail").alias("tail"), F.sum("n").alias("n"))
+    return train.mapInArrow(tk.frugal(count), "word long, tail int, n long").groupBy("word").agg(F.min("tail").alias("tail"), F.sum("n").alias("n"))
 
 
 def vocabulary(counts: DataFrame, n_documents: int) -> Vocabulary:
@@ -263,9 +263,9 @@ def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sa
         return maximize(sums, states, prior)
 
     few = train.join(F.broadcast(train.select("doc_id").where("doc_id is not null").orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(sample)), "doc_id", "left_semi")
-    model = collected(few.select("text").repartition(1).mapInArrow(warm, "slot int, value double"))
+    model = collected(few.select("text").repartition(1).mapInArrow(tk.frugal(warm), "slot int, value double"))
     for _ in range(rounds):
-        sums = train.select("text").mapInArrow(gather(model), "slot int, value double")
+        sums = train.select("text").mapInArrow(tk.frugal(gather(model)), "slot int, value double")
         model = collected(sums.groupBy("slot").agg(F.sum("value").alias("value")))
     return model
 
@@ -324,7 +324,7 @@ def language_scores(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
                 row += n
 
     kind = docs.schema[doc_id].dataType.simpleString()
-    scored = materialize(rows.mapInArrow(run, f"row long, doc_id {kind}, held_out boolean, n_tokens long, known long, base double, model double, words array<long>, times array<long>"), "scored")
+    scored = materialize(rows.mapInArrow(tk.frugal(run), f"row long, doc_id {kind}, held_out boolean, n_tokens long, known long, base double, model double, words array<long>, times array<long>"), "scored")
     rare = scored.select("row", F.explode(F.arrays_zip("words", "times")).alias("w")).select("row", F.col("w.words").alias("word"), F.col("w.times").alias("times"))
     met = rare.join(counts.select("word", "n"), "word")
     sums = met.groupBy("row").agg(F.sum(F.col("times") * F.log10(F.col("n") + 1.0)).alias("gain"), F.sum("times").alias("met"))

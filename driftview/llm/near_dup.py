@@ -40,7 +40,7 @@ def document_frequencies(docs: DataFrame, text: str, width: int) -> np.ndarray:
         for i in range(0, len(at), 1 << 16):
             yield pa.RecordBatch.from_arrays([pa.array(at[i : i + (1 << 16)], pa.int32()), pa.array(total[at[i : i + (1 << 16)]])], ["slot", "n"])
 
-    rows = docs.select(F.lower(text).alias("text")).mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    rows = docs.select(F.lower(text).alias("text")).mapInArrow(tk.frugal(count), "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
     out = np.zeros(1 << DF_BITS, np.int64)
     out[rows["slot"].to_numpy()] = rows["n"].to_numpy()
     return out
@@ -129,7 +129,7 @@ def sketches(docs: DataFrame, doc_id: str, text: str, width: int, bins: int, row
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(flat))
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(d1.view(np.int64)), pa.array(d2.view(np.int64)), pa.array(words.counts), lists], ["id", "d1", "d2", "n_words", "keys"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text")).mapInArrow(sketch, "id long, d1 long, d2 long, n_words long, keys array<long>")
+    return docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text")).mapInArrow(tk.frugal(sketch), "id long, d1 long, d2 long, n_words long, keys array<long>")
 
 
 def occurrences(column: pa.Array, width: int, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -164,7 +164,7 @@ def pair_similarities(pairs: DataFrame, texts: DataFrame, width: int, idf: np.nd
     wanted = texts.join(F.broadcast(ids), "id", "left_semi") if pairs.count() <= BROADCAST_PAIRS else texts.join(ids, "id", "left_semi")
     with_a = pairs.join(wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
     with_b = with_a.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
-    return with_b.select("a", "b", "text_a", "text_b").mapInArrow(verify, "a long, b long, similarity double")
+    return with_b.select("a", "b", "text_a", "text_b").mapInArrow(tk.frugal(verify), "a long, b long, similarity double")
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, idf_spread: float = 0.1, partner_rounds: int = 3) -> DataFrame:

@@ -108,7 +108,7 @@ def units(docs: DataFrame, min_words: int) -> DataFrame:
                 size = np.append(np.full(len(at), SPAN), p_end - p_start)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(owner)), pa.array(starts - tokens.starts[owner], pa.int32()), pa.array(size, pa.int32()), digest, lists], ["doc_id", "start", "n_words", "digest", "keys"])
 
-    return docs.mapInArrow(cut, "doc_id long, start int, n_words int, digest long, keys array<long>")
+    return docs.mapInArrow(tk.frugal(cut), "doc_id long, start int, n_words int, digest long, keys array<long>")
 
 
 def _gather(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
@@ -141,7 +141,7 @@ def id_filter(ids: DataFrame) -> np.ndarray:
             joined = np.bitwise_or.reduceat(bit[order], at) if len(at) else bit
             yield pa.RecordBatch.from_arrays([pa.array(word[order][at], pa.int32()), pa.array(joined.view(np.int64))], ["slot", "bits"])
 
-    rows = ids.select("id").mapInArrow(bits, "slot int, bits long").groupBy("slot").agg(F.bit_or("bits").alias("bits")).toArrow()
+    rows = ids.select("id").mapInArrow(tk.frugal(bits), "slot int, bits long").groupBy("slot").agg(F.bit_or("bits").alias("bits")).toArrow()
     out = np.zeros(1 << (FILTER_BITS - 6), np.uint64)
     out[rows["slot"].to_numpy()] = rows["bits"].to_numpy().view(np.uint64)
     return out
@@ -177,7 +177,7 @@ def paragraph_texts(docs: DataFrame, wanted: DataFrame, min_words: int) -> DataF
                         at += n
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(starts, pa.int32()), pa.array(texts, pa.string())], ["doc_id", "start", "text"])
 
-    found = docs.mapInArrow(pick, "doc_id long, start int, text string").select(F.struct("doc_id", "start").alias("unit"), "text")
+    found = docs.mapInArrow(tk.frugal(pick), "doc_id long, start int, text string").select(F.struct("doc_id", "start").alias("unit"), "text")
     return found.join(wanted, "unit", "left_semi").groupBy("unit").agg(F.min("text").alias("text"))
 
 
@@ -202,7 +202,7 @@ def jaccard(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
     kind = "struct<doc_id: long, start: int>"
     joined = pairs.join(texts.select(F.col("unit").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("unit").alias("b"), F.col("text").alias("text_b")), "b")
-    return joined.select("a", "b", "text_a", "text_b").mapInArrow(verify, f"a {kind}, b {kind}, similarity double")
+    return joined.select("a", "b", "text_a", "text_b").mapInArrow(tk.frugal(verify), f"a {kind}, b {kind}, similarity double")
 
 
 def _line_features(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

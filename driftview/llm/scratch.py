@@ -12,12 +12,14 @@ CHECKPOINT_DIR = "spark.checkpoint.dir"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named in ``spark.checkpoint.dir``; a new local one where none is set, as in tests."""
+    """The folder named in ``spark.checkpoint.dir``; where none is set, a new local one in a local session, as in tests, and an error on a cluster."""
     path = spark.conf.get(CHECKPOINT_DIR, None) or spark.sparkContext.getConf().get(CHECKPOINT_DIR)
     if not path:
         current = spark.sparkContext.getCheckpointDir()
         if current:
             return current.rstrip("/")
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise ValueError(f"{CHECKPOINT_DIR} must name a folder that the driver and all executors share")
         path = tempfile.mkdtemp(prefix="driftview-")
         spark.sparkContext.setCheckpointDir(path)
     return path.rstrip("/")
