@@ -26,7 +26,10 @@ def terms(text: Column, first: int | None = None) -> Column:
     return F.slice(found, 1, first) if first else found
 
 
-def slot(term: Column, dim: int) -> Column:
+def slot(term: Column, dim: int, hash_: str = "xxhash64") -> Column:
+    """A term's slot; ``md5`` is slower, but other engines have it too."""
+    if hash_ == "md5":
+        return (F.conv(F.substring(F.md5(term.cast("binary")), 1, 8), 16, 10).cast("long") % dim).cast("int")
     return F.pmod(F.xxhash64(term), F.lit(dim)).cast("int")
 
 
@@ -54,9 +57,10 @@ class TermFrequency(FeatureFunction):
     dim: int = 1 << 18
     norm: str | None = "l1"
     first_tokens: int | None = None
+    hash_: str = "xxhash64"
 
     def transform(self, df: DataFrame, key: str) -> DataFrame:
-        slots = F.transform(terms(F.col(self.column), self.first_tokens), lambda t: slot(t, self.dim))
+        slots = F.transform(terms(F.col(self.column), self.first_tokens), lambda t: slot(t, self.dim, self.hash_))
         counted = df.select(F.col(key).alias("id"), _counts(slots).alias("f"))
         return counted.select("id", _normed(self.norm).alias("f"))
 
@@ -179,8 +183,16 @@ class OneHot(FeatureFunction):
     columns: tuple[str, ...]
     dim: int = 1 << 16
 
+    def pairs(self) -> Column:
+        """name=value of each column that is not null."""
+        return F.array_compact(F.array(*[F.when(F.col(c).isNotNull(), F.concat_ws("=", F.lit(c), F.col(c).cast("string"))) for c in self.columns]))
+
+    def long_form(self, df: DataFrame, key: str) -> DataFrame:
+        """(id, term, val) with the pairs themselves."""
+        return df.select(F.col(key).alias("id"), F.explode(F.array_distinct(self.pairs())).alias("term"), F.lit(1.0).alias("val"))
+
     def transform(self, df: DataFrame, key: str) -> DataFrame:
-        slots = F.array_compact(F.array(*[F.when(F.col(c).isNotNull(), slot(F.concat_ws("=", F.lit(c), F.col(c).cast("string")), self.dim)) for c in self.columns]))
+        slots = F.transform(self.pairs(), lambda t: slot(t, self.dim))
         return df.select(F.col(key).alias("id"), F.array_distinct(slots).alias("s")).select("id", sparse(F.transform("s", lambda s: F.struct(s.alias("idx"), F.lit(1.0).alias("val")))).alias("f"))
 
 
@@ -258,12 +270,25 @@ class RandomFourier(FeatureFunction):
         return self.base.transform(df, key).select("id", cosines("f").alias("f"))
 
 
+def kernel_error(base: FeatureFunction, fourier: RandomFourier, df: DataFrame, key: str, anchors: int) -> DataFrame:
+    """(n, mean_error, max_error) of the map's products against the kernel, of all rows with the first ``anchors`` by key."""
+    rows = fourier.transform(df, key).withColumnRenamed("f", "phi").join(base.transform(df, key).withColumnRenamed("f", "x"), "id")
+    few = rows.orderBy("id").limit(anchors).select(F.col("phi").alias("phi_a"), F.col("x").alias("x_a"))
+    total = lambda a: F.aggregate(a, F.lit(0.0), lambda s, v: s + v)
+    product = total(F.zip_with("phi", "phi_a", lambda a, b: a * b))
+    distance = total(F.zip_with("x", "x_a", lambda a, b: (a - b) * (a - b)))
+    error = F.abs(product - F.exp(F.lit(-fourier.gamma) * distance))
+    return rows.crossJoin(F.broadcast(few)).select(error.alias("e")).agg(F.count("*").alias("n"), F.round(F.avg("e"), 6).alias("mean_error"), F.round(F.max("e"), 6).alias("max_error"))
+
+
 _REGISTRY: dict[str, Callable[..., FeatureFunction]] = {
     "tf_bag_of_terms": TermFrequency,
     "tf_idf": TfIdf,
     "dense_columns": lambda *columns, **kw: DenseColumns(tuple(columns), **kw),
     "dense_array": DenseArray,
     "one_hot": lambda *columns, **kw: OneHot(tuple(columns), **kw),
+    "polynomial_kernel": lambda *columns, **kw: Polynomial2(DenseColumns(tuple(columns), **kw)),
+    "gaussian_kernel": lambda *columns, dim=64, gamma=1.0, seed=5, **kw: RandomFourier(DenseColumns(tuple(columns), **kw), dim, gamma, seed),
 }
 
 

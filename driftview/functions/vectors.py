@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -60,6 +61,28 @@ def _arrow_sparse(model: Model):  # noqa: ANN202
     return score
 
 
+def arrow_scores(df: DataFrame, models: Sequence[Model], column: str = "f") -> Column:
+    """Margins under several models, as an array, in one pass."""
+    w, b = np.stack([m.w for m in models]), np.array([float(m.b) for m in models])
+
+    def listed(z: np.ndarray) -> pa.Array:
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, z.size + 1, len(b)), pa.int32()), pa.array(z.reshape(-1)))
+
+    @arrow_udf("array<double>")
+    def dense(f: pa.Array) -> pa.Array:
+        flat = f.flatten().to_numpy(zero_copy_only=False).reshape(len(f), -1)
+        return listed(flat @ w.T - b if flat.size else np.tile(-b, (len(f), 1)))
+
+    @arrow_udf("array<double>")
+    def sparse(idx: pa.Array, val: pa.Array) -> pa.Array:
+        sizes = np.asarray(idx.value_lengths().fill_null(0).to_numpy(zero_copy_only=False), np.int64)
+        at, x, who = idx.flatten().to_numpy(zero_copy_only=False), val.flatten().to_numpy(zero_copy_only=False), np.repeat(np.arange(len(sizes)), sizes)
+        return listed(np.stack([np.bincount(who, row[at] * x, len(sizes)) for row in w], axis=1) - b)
+
+    f = F.col(column)
+    return sparse(f["idx"], f["val"]) if is_sparse(df, column) else dense(f)
+
+
 def score(df: DataFrame, model: Model, column: str = "f") -> Column:
     """The margin of each row; rows outside a filter beneath never reach it."""
     f = F.col(column)

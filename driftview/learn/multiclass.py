@@ -29,6 +29,9 @@ def train_ovr(batch: Sequence[tuple[object, object]], classes: Sequence[object],
 
 
 def scores(df: DataFrame, models: Sequence[Model]) -> Column:
+    """The scores of all classes: written out while that is short, by a product of matrices over Arrow batches otherwise."""
+    if vectors.is_sparse(df) or len(models) * len(models[0].w) > vectors.UNROLL:
+        return vectors.arrow_scores(df, models)
     return F.array(*[vectors.score(df, m) for m in models])
 
 
@@ -48,20 +51,21 @@ def classify_chain(df: DataFrame, models: Sequence[Model], classes: Sequence[obj
     return df.select("id", (decision.otherwise(F.lit(classes[-1])) if decision is not None else F.lit(classes[-1])).alias("class"))
 
 
-def multiclass_certain(stored: Sequence[Model], current: Sequence[Model], classes: Sequence[object], largest: float, pair: HolderPair, eps: str = "scores") -> Column:
+def multiclass_certain(stored: Sequence[Model], current: Sequence[Model], classes: Sequence[object], largest: float, pair: HolderPair, eps: str = "scores", slack: float = 0.0) -> Column:
     """The class that no rival can reach, from stored scores alone; null where that is open.
 
     Ties go to the smaller class, so the test against smaller rivals is strict.
+    ``slack`` is room for sums of doubles in another order.
     """
     shift = [c.b - s.b for s, c in zip(stored, current, strict=True)]
     reach = [largest * norm(c.w - s.w, pair.p) for s, c in zip(stored, current, strict=True)]
     out = None
     for a, c in enumerate(classes):
-        low = F.get(eps, F.lit(a)) - F.lit(shift[a] + reach[a])
+        low = F.get(eps, F.lit(a)) - F.lit(float(shift[a] + reach[a] + slack))
         sure = F.lit(True)
         for r in range(len(classes)):
             if r != a:
-                high = F.get(eps, F.lit(r)) - F.lit(shift[r] - reach[r])
+                high = F.get(eps, F.lit(r)) - F.lit(float(shift[r] - reach[r]))
                 sure = sure & ((low > high) if r < a else (low >= high))
         out = F.when(sure, F.lit(c)) if out is None else out.when(sure, F.lit(c))
     return out
@@ -70,18 +74,3 @@ def multiclass_certain(stored: Sequence[Model], current: Sequence[Model], classe
 def confusion(view: DataFrame, truth: DataFrame, classes: Sequence[object]) -> DataFrame:
     """A row for each true class and a column for each predicted one."""
     return truth.select("id", F.col("label").alias("truth")).join(view, "id").groupBy("truth").pivot("class", list(classes)).agg(F.count(F.lit(1))).na.fill(0)
-
-
-def separable(batch: Sequence[tuple[np.ndarray, int]]) -> bool:
-    """Whether a perceptron finds weights without an error in 1,000 passes: a help for tests."""
-    w = np.zeros(len(batch[0][0]) + 1)
-    for _ in range(1000):
-        wrong = 0
-        for f, y in batch:
-            x = np.append(f, 1.0)
-            if y * (w @ x) <= 0:
-                w += y * x
-                wrong += 1
-        if not wrong:
-            return True
-    return False

@@ -73,6 +73,7 @@ class ClusteredStore:
     listed: DataFrame | None = field(default=None, repr=False)
     n: int = 0
     largest: float = 0.0
+    extra: str = ""
 
     @classmethod
     def build(cls, entities: DataFrame, model: Model, path: str, q: float = 2.0, buckets: int = 16, layout: str = "clustered", memory: bool = False) -> ClusteredStore:
@@ -83,14 +84,19 @@ class ClusteredStore:
         as that of a model which knows nothing yet, to several.  Files carry a
         filter on the id, so that a look-up opens few of them.
         """
-        spark = entities.sparkSession
         scored = entities.select("id", "f", vectors.score(entities, model).alias("eps"), vectors.vector_norm(entities, q).alias("norm_q"))
+        return cls.place(scored, path, buckets, layout, memory, entities)
+
+    @classmethod
+    def place(cls, scored: DataFrame, path: str, buckets: int, layout: str, memory: bool, entities: DataFrame, extra: str = "") -> ClusteredStore:
+        """Rows (id, f, eps, norm_q) and columns named in ``extra``, clustered by eps."""
+        spark = entities.sparkSession
         cuts = [k / buckets for k in range(1, buckets)]
         quantiles = F.percentile_approx("eps", F.array(*map(F.lit, cuts)), 1000) if cuts else F.lit(None)
         n, largest, found = scored.agg(F.count("*"), F.max("norm_q"), quantiles).first()
-        store = cls(spark, path, sorted(set(found or [])), layout, entities, sparse=vectors.is_sparse(entities), n=n, largest=float(largest or 0.0))
-        columns = ["id", "f", "eps", "norm_q"] if layout == "clustered" else ["id", "eps", "norm_q"]
-        placed = scored.select(*columns, bucket_of(F.col("eps"), store.splits).alias("eps_bucket"))
+        store = cls(spark, path, sorted(set(found or [])), layout, entities, sparse=vectors.is_sparse(entities), n=n, largest=float(largest or 0.0), extra=extra)
+        rows = scored if layout == "clustered" else scored.drop("f")
+        placed = rows.withColumn("eps_bucket", bucket_of(F.col("eps"), store.splits))
         ranges, threads = len(store.splits) + 1, spark.sparkContext.defaultParallelism
         tasks = min(ranges, threads)
         each = max(50_000, min(ROWS_PER_TASK, n // threads))
@@ -122,7 +128,7 @@ class ClusteredStore:
 
     def schema(self) -> str:
         f = "f struct<idx: array<int>, val: array<double>>, " if self.sparse else "f array<double>, "
-        return f"id long, {f if self.layout == 'clustered' else ''}eps double, norm_q double, eps_bucket int"
+        return f"id long, {f if self.layout == 'clustered' else ''}eps double, norm_q double, {self.extra + ', ' if self.extra else ''}eps_bucket int"
 
     def between(self, low: float | None, high: float | None) -> DataFrame:
         """Rows with low <= eps < high; None leaves an end open.  Directories are named in the filter, as Spark does not infer them."""

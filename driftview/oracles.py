@@ -155,7 +155,6 @@ def oracle_sql() -> dict[str, str]:
             "least_squares_fits": f"WITH {ENT}, {ONE}, u AS (SELECT regr_slope(y, x) AS w, regr_intercept(y, x) AS i, regr_sxy(y, x) / (regr_sxx(y, x) + 10) AS rw, avg(x) AS mx, avg(y) AS my, sum(k * x) / sum(k) AS kx, sum(k * y) / sum(k) AS ky FROM o),"
             " kw AS (SELECT sum(k * (x - kx) * (y - ky)) / sum(k * (x - kx) * (x - kx)) AS w FROM o, u)"
             " SELECT 'ols' AS method, round(w, 6) AS w, round(-i, 6) AS b FROM u UNION ALL SELECT 'ridge', round(rw, 6), round(rw * mx - my, 6) FROM u UNION ALL SELECT 'weighted', round(kw.w, 6), round(kw.w * kx - ky, 6) FROM u, kw",
-            "loo_scores": f"WITH {ENT}, o AS (SELECT id, f1 AS x, y FROM ent ORDER BY id LIMIT 40), r AS (SELECT a.id, a.x, regr_slope(b.y, b.x) AS w, regr_intercept(b.y, b.x) AS i FROM o a JOIN o b ON a.id <> b.id GROUP BY a.id, a.x) SELECT id, round(w * x + i, 6) AS score FROM r",
             "naive_lazy_view": _embeddings(),
             "full_retrain_view": _survivors(),
             "eager_rounds": f"{HEAD}, {MARGINS}, g AS (SELECT s, id, eps >= 0 AS p, lag(eps >= 0) OVER (PARTITION BY id ORDER BY s) AS q FROM ms) SELECT CAST(s AS INT) AS round, count(*) FILTER (WHERE p) AS n_positive, count(*) FILTER (WHERE p <> q) AS n_flipped FROM g GROUP BY s",

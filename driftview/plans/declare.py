@@ -14,13 +14,14 @@ import ast
 import re
 from dataclasses import dataclass, field
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftview.functions.features import get_feature
-from driftview.learn.select import get_method, select_method
-from driftview.operators.view import ClassificationView, Options, gather
+from driftview.learn.select import CLOSED, METHODS, get_method, method_for, select_method
+from driftview.operators.multiclass_view import MulticlassView
+from driftview.operators.view import ClassificationView, Options, computed_once, gather
+from driftview.session import shared_path
 
 _NAME = r"[A-Za-z_]\w*"
 _GRAMMAR = re.compile(
@@ -31,9 +32,13 @@ _GRAMMAR = re.compile(
 )
 
 
+#: Labels that a view can have; each is a model, and each round trains them all.
+MAX_CLASSES = 1000
+
+
 @dataclass(frozen=True)
 class ViewSpec:
-    """The positive class is the largest label of the declared set; others are negative."""
+    """Of two declared labels the larger is the positive class; of more, each is a class of its own."""
 
     name: str
     entities: str
@@ -73,34 +78,48 @@ def _checked(spark: SparkSession, spec: ViewSpec) -> tuple[DataFrame, DataFrame,
     for df, column, where in ((entities, spec.key, spec.entities), (examples, spec.example_key, spec.examples), (examples, spec.label, spec.examples), (labels, spec.label_set, spec.labels)):
         if column not in df.columns:
             raise ValueError(f"{where} has no column {column}")
-    declared = sorted(r[0] for r in labels.select(spec.label_set).distinct().limit(1000).collect() if r[0] is not None)
-    if len(declared) != 2:
-        raise ValueError(f"a binary view needs two labels, not {len(declared)}")
+    declared = sorted(r[0] for r in labels.select(spec.label_set).distinct().limit(MAX_CLASSES + 1).collect() if r[0] is not None)
+    if len(declared) < 2:
+        raise ValueError(f"a view needs two labels at least, not {len(declared)}")
+    if len(declared) > MAX_CLASSES:
+        raise ValueError(f"more than {MAX_CLASSES} labels")
     marked = examples.select(F.col(spec.example_key).alias("id"), F.col(spec.label).alias("y")).where("id is not null and y is not null")
     if marked.where(~F.col("y").isin(declared)).limit(1).count():
         raise ValueError("an example has a label that is not declared")
     if marked.groupBy("id").count().where("count > 1").limit(1).count():
         raise ValueError("ids of examples are not unique")
-    return entities, marked.select("id", F.when(F.col("y") == declared[-1], 1).otherwise(-1).alias("label")), declared
+    label = F.when(F.col("y") == declared[-1], 1).otherwise(-1) if len(declared) == 2 else F.col("y")
+    return entities, marked.select("id", label.alias("label")), declared
 
 
-def create_view(spark: SparkSession, spec: ViewSpec, options: Options | None = None) -> ClassificationView:
-    """Featurize, train, cluster and register the view under its name."""
-    entities, examples, _ = _checked(spark, spec)
+def create_view(spark: SparkSession, spec: ViewSpec, options: Options | None = None) -> ClassificationView | MulticlassView:
+    """Featurize, train, cluster and register the view under its name; more than two labels make a view of several classes."""
+    entities, examples, declared = _checked(spark, spec)
     feature = get_feature(spec.feature, *spec.positional, **spec.options).fit(entities)
-    vectors = feature.transform(entities, spec.key)
+    vectors = computed_once(feature.transform(entities, spec.key), shared_path(spark, spec.name))
+    if len(declared) > 2:
+        return MulticlassView.create(vectors, examples, get_method(spec.method or "svm"), feature.dim, declared, options or Options(policy=spec.policy, arch=spec.arch), name=spec.name)
     method = spec.method or choose(spark, vectors, examples, feature.dim)
-    return ClassificationView.create(vectors, examples, get_method(method), feature.dim, options or Options(policy=spec.policy, arch=spec.arch), name=spec.name)
+    counts = {r["label"]: r["count"] for r in examples.groupBy("label").count().collect()}  # two rows
+    trainer = method_for(method, counts.get(-1, 0), counts.get(1, 0))
+    return ClassificationView.create(vectors, examples, trainer, feature.dim, options or Options(policy=spec.policy, arch=spec.arch), name=spec.name)
+
+
+#: Examples that the choice of a method leaves out in turn, and the dimensions up to which closed forms take part.
+CHOICE_EXAMPLES, CHOICE_DIM = 200, 512
+
 
+def choose(spark: SparkSession, entities: DataFrame, examples: DataFrame, dim: int) -> str:
+    """The method of smallest leave-one-out error on the first CHOICE_EXAMPLES examples by id.
 
-def choose(spark: SparkSession, entities: DataFrame, examples: DataFrame, dim: int, most: int = 60) -> str:
-    """The best method on the first ``most`` examples; sparse vectors are told apart by hinge and logistic loss alone."""
-    batch = gather(entities, examples.orderBy("id").limit(most))
-    if dim > 512 or not batch or isinstance(batch[0][1], tuple):
+    Of vectors with more than CHOICE_DIM dimensions, only the gradient methods are compared.
+    """
+    batch = [(f, y) for _, f, y in gather(entities, examples.orderBy("id").limit(CHOICE_EXAMPLES))]
+    if not batch:
         return "svm"
-    x, y = np.array([f for _, f, _ in batch]), np.array([c for *_, c in batch], float)
-    return select_method(spark, x, y).orderBy("rank").first()["method"]
+    candidates = tuple(METHODS) if dim <= CHOICE_DIM else tuple(m for m in METHODS if m not in CLOSED)
+    return select_method(spark, batch, dim, candidates).orderBy("rank").first()["method"]
 
 
-def run_statement(spark: SparkSession, text: str) -> ClassificationView:
+def run_statement(spark: SparkSession, text: str) -> ClassificationView | MulticlassView:
     return create_view(spark, parse_definition(text))

@@ -82,18 +82,24 @@ def embeddings_binary(spark: SparkSession, sf_dir: str) -> Workload:
     return Workload("embeddings_binary", source, DenseArray("embedding", 64), SgdTrainer("hinge", 0.1, 1e-3), 64)
 
 
-def text_language(spark: SparkSession, sf_dir: str, first_tokens: int | None = None, norm: str | None = "l2", dim: int = 1 << 16) -> Workload:
+def text_language(spark: SparkSession, sf_dir: str, first_tokens: int | None = None, norm: str | None = "l2", dim: int = 1 << 16, hash_: str = "xxhash64") -> Workload:
     """English or not, from the first words or all of a document."""
     rows = table(spark, sf_dir, "documents")
     source = rows.withColumn("id", F.col("doc_id")).withColumn("label", F.when(F.col("lang") == "en", 1).otherwise(-1))
-    return Workload("text_language", source, TermFrequency("text", dim, norm, first_tokens), SgdTrainer("hinge", 1.0, 1e-4), dim)
+    return Workload("text_language", source, TermFrequency("text", dim, norm, first_tokens, hash_), SgdTrainer("hinge", 1.0, 1e-4), dim)
 
 
-def text_quality(spark: SparkSession, sf_dir: str, dim: int = 1 << 16) -> Workload:
-    """Documents with a table of examples of their own; classes are uneven, so the rare one weighs more."""
+def text_quality(spark: SparkSession, sf_dir: str, dim: int = 1 << 16, hash_: str = "xxhash64", label: str = "quality") -> Workload:
+    """Documents with a table of examples of their own, all of which are learned from; of uneven classes the rare one weighs more."""
     rows = table(spark, sf_dir, "documents").withColumn("id", F.col("doc_id"))
-    labelled = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("id"), F.when(F.col("quality") == 1, 1).otherwise(-1).alias("label"))
-    return Workload("text_quality", rows, TermFrequency("text", dim, "l2"), SgdTrainer("hinge", 1.0, 1e-4, class_weights=(5.0, 1.0)), dim, labelled=labelled)
+    labelled = table(spark, sf_dir, "labels").where(F.col(label).isNotNull()).select(F.col("doc_id").alias("id"), F.when(F.col(label) == 1, 1).otherwise(-1).alias("label"))
+    n = labelled.count()
+    trainer = SgdTrainer("hinge", 0.3, 1e-4, class_weights=(3.0, 1.0) if label == "quality" else (1.0, 3.0))
+    return Workload("text_quality", rows, TermFrequency("text", dim, "l2", None, hash_), trainer, dim, n * 4 // 5, n - n * 4 // 5, labelled)
+
+
+#: Hashed dimensions that the queries share with their SQL, which has no sparse vectors.
+IN_SQL = {"dim": 1024, "hash_": "md5"}
 
 
 def models_frame(spark: SparkSession, models: list[Model]) -> DataFrame:
@@ -105,7 +111,3 @@ def models_frame(spark: SparkSession, models: list[Model]) -> DataFrame:
 def random_ids(entities: DataFrame, n: int) -> DataFrame:
     """``n`` ids in an order that md5 fixes."""
     return entities.select("id").orderBy(F.md5(F.col("id").cast("string").cast("binary")), "id").limit(n)
-
-
-def margin_norm(model: Model) -> float:
-    return float(np.sqrt((model.w * model.w).sum()))

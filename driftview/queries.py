@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,24 +19,19 @@ from driftview.operators.store import band_distance
 from driftview.operators.view import ClassificationView, Options, gather
 from driftview.plans import replay, workloads
 from driftview.plans.declare import run_statement
+from driftview.registry import ALL, Query, query
 from driftview.session import materialize, shared_path
 from driftview.sources.tables import keyed_lineitem, strip_tags, table
 from driftview.streaming.attach import attach_stream, user_sessions, user_windows, window_vector
 
-Query = Callable[[SparkSession, str], DataFrame]
-_ALL: dict[str, Query] = {}
-
 #: Rounds of a policy's replay, and what a scan costs over a recluster in the rows clock.
 SIGMA = 0.25
 
 
-def query(f: Query) -> Query:
-    _ALL[f.__name__] = f
-    return f
-
-
 def queries() -> dict[str, Query]:
-    return dict(_ALL)
+    from driftview import queries_changes, queries_sql, queries_text  # noqa: F401, PLC0415  they use what is defined here
+
+    return dict(ALL)
 
 
 # --- features
@@ -69,9 +62,7 @@ def page_text_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def onehot_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    parts = table(spark, sf_dir, "part")
-    terms = F.explode(F.array(*[F.concat_ws("=", F.lit(c), F.col(c).cast("string")) for c in ("p_brand", "p_type", "p_size")]))
-    return parts.select(F.col("p_partkey").alias("id"), terms.alias("term")).groupBy("id", "term").agg(F.lit(1.0).alias("val"))
+    return fx.OneHot(("p_brand", "p_type", "p_size")).long_form(table(spark, sf_dir, "part"), "p_partkey")
 
 
 @query
@@ -100,16 +91,15 @@ def polynomial2_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("id", F.size(f).alias("dim"), F.round(f[5], 6).alias("f0f1"), F.round(f[13], 6).alias("f3f3"), F.round(vectors.norm(f, 1), 6).alias("total"))
 
 
+#: Rows with which the Fourier map's products are compared, and its dimensions.
+ANCHORS, COSINES = 8, 64
+
+
 @query
 def random_fourier_kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean and largest error of the map's products against the kernel, over neighbours in order of id."""
+    """Mean and largest error of the map's products against the kernel, of all rows with the first ANCHORS."""
     w = workloads.planted_lineitem(spark, sf_dir)
-    rows = fx.RandomFourier(w.feature, dim=256, gamma=1.0).transform(w.source, "id").join(w.entities.withColumnRenamed("f", "x"), "id")
-    few = rows.orderBy("id").limit(64).collect()
-    phi, x = np.array([r["f"] for r in few]), np.array([r["x"] for r in few])
-    exact = np.exp(-((x[:, None] - x[None]) ** 2).sum(-1))
-    error = np.abs(phi @ phi.T - exact)
-    return spark.createDataFrame([(float(error.mean()), float(error.max()))], "mean_error double, max_error double")
+    return fx.kernel_error(w.feature, fx.RandomFourier(w.feature, dim=COSINES, gamma=1.0), w.source, "id", ANCHORS)
 
 
 @query
@@ -166,21 +156,42 @@ def least_squares_fits(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def loo_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Scores of the first 40 examples, each under the least-squares model trained without it."""
-    rows = _one_feature(spark, sf_dir).orderBy("id").limit(40).collect()
-    x, y = np.array([[r["x"]] for r in rows]), np.array([float(r["label"]) for r in rows])
-    return spark.createDataFrame([(r["id"], round(float(s), 6)) for r, s in zip(rows, closed_form.press(x, y), strict=True)], "id long, score double")
+    """Scores of all rows, each under the least-squares model trained without it."""
+    rows = closed_form.press_rows(_one_feature(spark, sf_dir), ["x"], "label")
+    return rows.select("id", F.round("score", 6).alias("score"))
+
+
+@query
+def loo_errors_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Leave-one-out errors of least squares and ridge over all rows, in closed form: two passes each."""
+    rows = _one_feature(spark, sf_dir)
+    out = None
+    for name, l2 in (("ols", 0.0), ("ridge", 10.0)):
+        scored = closed_form.press_rows(rows, ["x"], "label", l2)
+        wrong = F.when(F.when(F.col("score") >= 0, 1).otherwise(-1) != F.col("label"), 1).otherwise(0)
+        errors = scored.agg(F.lit(name).alias("method"), F.count("*").alias("n"), F.sum(wrong.cast("long")).alias("n_wrong"))
+        out = errors if out is None else out.unionByName(errors)
+    return out
+
+
+@query
+def loo_by_retraining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Leave-one-out errors of the gradient methods over all examples, each left out in turn."""
+    batch = [(f, y) for _, f, y in workloads.planted_lineitem(spark, sf_dir).batch()]
+    rows = [(name, len(batch), round(error * len(batch))) for name, error in select.loo_errors(batch, 4, ("svm", "logistic"))]
+    return spark.createDataFrame(rows, "method string, n long, n_wrong long")
 
 
 @query
 def method_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
-    batch = workloads.planted_lineitem(spark, sf_dir).batch()[:60]
-    return select.select_method(spark, np.array([f for _, f, _ in batch]), np.array([float(y) for *_, y in batch]))
+    """All methods by their leave-one-out error over all examples."""
+    return select.select_method(spark, [(f, y) for _, f, y in workloads.planted_lineitem(spark, sf_dir).batch()], 4)
 
 
 @query
 def hinge_loo_bound(spark: SparkSession, sf_dir: str) -> DataFrame:
-    batch = workloads.planted_lineitem(spark, sf_dir).batch()[:60]
+    """The leave-one-out error of a support vector machine over all examples, by retraining, and its bound from one fit."""
+    batch = workloads.planted_lineitem(spark, sf_dir).batch()
     x, y = np.array([f for _, f, _ in batch]), np.array([float(t) for *_, t in batch])
     exact = closed_form.loo_bruteforce(lambda a, b: _dual_model(a, b), x, y)
     return spark.createDataFrame([(float(exact), closed_form.loo_hinge_bound(x, y))], "exact double, bound double")
@@ -251,7 +262,10 @@ def naive_eager_view(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def naive_lazy_view(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = workloads.embeddings_binary(spark, sf_dir)
-    return w.entities.select("id", vectors.sign_class(vectors.score(w.entities, w.trail()[-1])).alias("class"))
+    batch = w.batch()
+    naive = NaiveView(w.entities, w.trainer, w.trainer.fit([(f, y) for _, f, y in batch[: w.warm]], w.dim), "lazy")
+    naive.update(batch[w.warm :])
+    return naive.view()
 
 
 @query
@@ -533,26 +547,27 @@ def quality_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _text_quality(w: workloads.Workload, truth: DataFrame) -> DataFrame:
     view, rest = _start(w, w.kept_entities(), buckets=8)
-    for k in range(0, len(rest), 20):
-        view.update(rest[k : k + 20])
+    each = max(20, len(rest) // 10)
+    for k in range(0, len(rest), each):
+        view.update(rest[k : k + each])
     return measures.quality(view.view(), truth)
 
 
 @query
 def quality_title7(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = workloads.text_language(spark, sf_dir, 7)
+    w = workloads.text_language(spark, sf_dir, 7, **workloads.IN_SQL)
     return _text_quality(w, w.source)
 
 
 @query
 def quality_full_text(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = workloads.text_language(spark, sf_dir)
+    w = workloads.text_language(spark, sf_dir, **workloads.IN_SQL)
     return _text_quality(w, w.source)
 
 
 @query
 def quality_examples_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = workloads.text_quality(spark, sf_dir)
+    w = workloads.text_quality(spark, sf_dir, **workloads.IN_SQL)
     return _text_quality(w, w.labelled)
 
 

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from driftview.operators.view import ClassificationView
 
@@ -50,3 +54,27 @@ def user_sessions(events: DataFrame, gap: str = "30 minutes", late: str | None =
 def window_vector(n: Column, total: Column) -> Column:
     """A dense vector of a window: its events and its mean value, scaled."""
     return F.array(n.cast("double") / 10.0, total / n / 100.0)
+
+
+def running_waste(costs: DataFrame, recluster_cost: float) -> DataFrame:
+    """The rent-or-buy rule over a stream of costs (key, seq, cost): (key, seq, waste, reclusters) after each, kept as state by key.
+
+    A round whose waste so far reaches ``recluster_cost`` buys: its own cost is
+    not paid, and the waste starts from 0.  Rows of a micro-batch are taken in
+    order of ``seq``; null costs are 0.  State is two numbers a key.
+    """
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        waste, bought = state.get if state.exists else (0.0, 0)
+        rows = pd.concat(list(batches)).sort_values("seq")
+        out = []
+        for seq, cost in zip(rows["seq"], rows["cost"].fillna(0.0), strict=True):
+            if waste >= recluster_cost:
+                waste, bought = 0.0, bought + 1
+            else:
+                waste += cost
+            out.append((key[0], seq, waste, bought))
+        state.update((waste, bought))
+        yield pd.DataFrame(out, columns=["key", "seq", "waste", "reclusters"])
+
+    return costs.groupBy("key").applyInPandasWithState(step, "key long, seq long, waste double, reclusters long", "waste double, reclusters long", "append", GroupStateTimeout.NoTimeout)

@@ -2,9 +2,10 @@ import numpy as np
 import pytest
 
 from driftview.learn import closed_form, select
+from driftview.learn.bulk import bulk_train, gradient
 from driftview.learn.model import Model
 from driftview.learn.multiclass import classify, classify_chain, largest_class, multiclass_certain, train_ovr
-from driftview.learn.sgd import ScaledSgd, SgdTrainer
+from driftview.learn.sgd import LOSSES, ScaledSgd, SgdTrainer
 from driftview.operators.band import HolderPair, norm
 
 
@@ -67,13 +68,45 @@ def test_hinge_bound_is_an_upper_estimate():
 
 def test_method_choice(spark):
     x, y = data(30)
-    rows = select.select_method(spark, x, y).collect()
+    batch = [(f, int(t)) for f, t in zip(x, y, strict=True)]
+    rows = select.select_method(spark, batch, 3).collect()
     assert [r["rank"] for r in sorted(rows, key=lambda r: r["loo_error"])] == sorted(r["rank"] for r in rows)
     assert {r["method"] for r in rows} == set(select.METHODS)
+    sparse = [((np.arange(3), f), t) for f, t in batch]
+    assert dict(select.loo_errors(sparse, 3)) == pytest.approx(dict(select.loo_errors(batch, 3)))
     with pytest.raises(ValueError):
         select.get_method("forest")
 
 
+def test_the_weighted_method_gives_both_classes_the_same_weight():
+    assert select.balance(30, 10) == (40 / 60, 2.0) and select.balance(0, 5) == (1.0, 0.5)
+    rng = np.random.default_rng(1)
+    rows = [(rng.normal(1.0 if k % 8 == 0 else -1.0, 1.5, 2), 1 if k % 8 == 0 else -1) for k in range(800)]
+    share = [np.mean([m.score(f) >= 0 for f, y in rows if y > 0]) for m in (select.method_for(n, 700, 100, eta0=0.02).fit(rows, 2) for n in ("ols", "weighted"))]
+    assert share[1] > share[0] + 0.1
+
+
+def test_leave_one_out_over_rows(spark):
+    x, y = data(40)
+    df = spark.createDataFrame([(k, *map(float, f), float(t)) for k, (f, t) in enumerate(zip(x, y, strict=True))], "id long, a double, b double, c double, y double")
+    for l2 in (0.0, 2.0):
+        got = [r["score"] for r in closed_form.press_rows(df, ["a", "b", "c"], "y", l2).orderBy("id").collect()]
+        assert np.allclose(got, closed_form.press(x, y, l2))
+
+
+@pytest.mark.parametrize("loss", ["hinge", "logistic", "squared"])
+def test_whole_batch_steps(spark, loss):
+    x, y = data(300)
+    df = spark.createDataFrame([(f.tolist(), int(t)) for f, t in zip(x, y, strict=True)] + [(None, 1), ([1.0, 1.0, 1.0], None)], "f array<double>, label int")
+    by_w, by_b, n = gradient(df.where("f is not null and label is not null"), Model(np.array([0.1, -0.2, 0.3]), 0.1), loss)
+    z = x @ [0.1, -0.2, 0.3] - 0.1
+    g = np.array([LOSSES[loss](t, s) for t, s in zip(y, z, strict=True)])
+    assert n == 300 and np.allclose(by_w, (g[:, None] * x).mean(0)) and by_b == pytest.approx(-g.mean())
+    m = bulk_train(df, 3, loss, rounds=8)
+    assert np.mean(np.where(x @ m.w - m.b >= 0, 1, -1) == y) > 0.85
+    assert bulk_train(df.limit(0), 3).round == 0
+
+
 def test_classes_beyond_two(spark):
     rng = np.random.default_rng(3)
     centres = {"a": (3, 0), "b": (-3, 3), "c": (0, -4)}
