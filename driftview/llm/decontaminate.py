@@ -99,13 +99,13 @@ def contamination(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id",
     tables give an empty result; other columns are ignored.
     """
     items = benchmark.select(F.col(item_id).alias("item_id"), word_hashes(F.col(item_text)).alias("hashes")).where(F.col("item_id").isNotNull() & (F.size("hashes") >= min_words))
-    items = materialize(items.withColumn("item", F.xxhash64("item_id", "hashes")).dropDuplicates(["item"]), "items")
+    items = materialize(items.withColumn("item", F.xxhash64("item_id", "hashes")).dropDuplicates(["item"]), "items", by_size=True)
     given = seed_masks(min_words, window, likeness)
     masks = {k: mask for k, (mask, _) in enumerate(given)}
     length = F.least(F.size("hashes"), F.lit(window))
     own = functools.reduce(lambda a, b: a | b, [(F.col("mask") == k) & length.isin(lengths) for k, (_, lengths) in enumerate(given)])
     seeds = _laid(items, masks, "at").where(own).select("item", F.col("at").alias("item_at"), F.col("mask").alias("item_mask"), _seed(F.col("hashes"), F.col("at"), masks, F.col("mask")).alias("item_key"), _seed(F.col("hashes"), F.col("at") - 1, masks, F.col("mask")).alias("item_before"))
-    seeds = materialize(seeds.where("item_key <> 0"), "seeds")
+    seeds = materialize(seeds.where("item_key <> 0"), "seeds", by_size=True)
     masks = {r[0]: masks[r[0]] for r in seeds.select("item_mask").distinct().orderBy("item_mask").limit(len(masks)).collect()}
     fields = ("doc_id", "item_id", "n_matched", "n_item_words", "overlap")
     if not masks:

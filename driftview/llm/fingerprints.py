@@ -50,13 +50,13 @@ def equal_groups(marked: DataFrame, docs: DataFrame, doc_id: str = "doc_id", tex
     are dealt to SALTS parts each, so that a large group is no single task's.
     """
     sums = marked.groupBy("fingerprint").agg(F.count("*").alias("group_size"), F.min("doc_id").alias("group_id"))
-    several = materialize(sums.where("group_size > 1"), "equal")
+    several = materialize(sums.where("group_size > 1"), "equal", by_size=True)
     few = several.count() <= BROADCAST_ROWS
     canon = canonical(F.coalesce(F.col(text), F.lit("")))
     rows = docs.select(F.col(doc_id).alias("doc_id"), canon.alias("canon")).withColumn("fingerprint", digest(F.col("canon")))
     wanted = several.select("fingerprint")
     rows = rows.join(F.broadcast(wanted) if few else wanted, "fingerprint", "left_semi")
-    mixed = materialize(rows.groupBy("fingerprint").agg(F.min("canon").alias("lo"), F.max("canon").alias("hi")).where("lo <> hi").select("fingerprint"), "mixed")
+    mixed = materialize(rows.groupBy("fingerprint").agg(F.min("canon").alias("lo"), F.max("canon").alias("hi")).where("lo <> hi").select("fingerprint"), "mixed", by_size=True)
     if few:
         found = marked.join(F.broadcast(several), "fingerprint", "left")
     else:

@@ -31,7 +31,7 @@ def shared_lines(docs: DataFrame, doc_id: str, text: str, min_chars: int, min_do
     keys = F.array_distinct(F.filter(F.transform(F.split(ascii_lower(F.col(text)), "\n"), line_key), lambda k: F.char_length(k) >= min_chars))
     found = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), F.explode(F.transform(keys, _digest)).alias("k")).select("doc_id", "k.h1", "k.h2")
     heavy = found.groupBy("h1", "h2").agg(F.count_distinct("doc_id").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= min_documents)
-    return found, materialize(heavy.select("h1", "h2", "keeper"), "shared-lines")
+    return found, materialize(heavy.select("h1", "h2", "keeper"), "shared-lines", by_size=True)
 
 
 def drop_shared_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = 40, min_documents: int = 5) -> DataFrame:

@@ -26,7 +26,7 @@ def with_places(rows: DataFrame, order: Sequence[Column], sums: Sequence[str], l
     Rows are dealt to ranges of the order, the ranges' sums are added up, a row
     for each, and every range is numbered by itself.
     """
-    placed = materialize(rows.repartitionByRange(*order).withColumn("range", F.spark_partition_id()), label)
+    placed = materialize(rows.repartitionByRange(*order).withColumn("range", F.spark_partition_id()), label, by_size=True)
     earlier = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)  # a row for each shuffle partition
     names = {"place": F.count("*"), **{f"{c}_before": F.sum(c) for c in sums}}
     totals = placed.groupBy("range").agg(*[f.alias(n) for n, f in names.items()])
@@ -49,7 +49,7 @@ def source_targets(sized: DataFrame, weights: Sequence[int], budget: float, max_
     rows = with_places(sums, [F.col("source").asc_nulls_last()], [], "sources")
     weight = F.element_at(F.array(*map(F.lit, weights)), (F.col("place") % len(weights) + 1).cast("int")).cast("long")
     rows = rows.select("source", "source_size", "n_docs", weight.alias("weight"), (F.col("source_size") * max_repeats).alias("cap"))
-    rows = materialize(with_places(rows, [F.col("cap").cast("double") / F.col("weight"), F.col("source").asc_nulls_last()], ["cap", "weight"], "limits"), "filled")
+    rows = materialize(with_places(rows, [F.col("cap").cast("double") / F.col("weight"), F.col("source").asc_nulls_last()], ["cap", "weight"], "limits"), "filled", by_size=True)
     words, shares = rows.agg(F.sum("source_size"), F.sum("weight")).first()
     total = int((words or 0) * float(budget))
     level = (F.lit(total) - F.col("cap_before")).cast("double") / (F.lit(shares) - F.col("weight_before")).cast("double")
@@ -118,7 +118,7 @@ def fair_mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source
     sized = docs.select(F.col(doc_id).alias("doc_id"), F.col(source).alias("source"), word_count(F.col(text)).alias("size"), F.md5(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")).alias("h"))
     sized = materialize(sized, "sizes")
     targets, total = source_targets(sized, weights, budget, max_repeats)
-    placed = materialize(queued(sized, materialize(targets, "targets")), "queued")
+    placed = materialize(queued(sized, materialize(targets, "targets", by_size=True)), "queued")
     n_ranges = max(1, min(MAX_RANGES, placed.count() // ROWS_PER_RANGE))
     # the budget is spent at about time 1: the last range holds all that ends at 2 or later
     range_of = lambda finish: F.least(F.lit(n_ranges - 1), F.floor(finish * n_ranges / 2)).cast("long")

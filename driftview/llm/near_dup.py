@@ -212,7 +212,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     source = docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text"))
     # a repeated id could bring in another row's text: the smallest is as good as any, as both are of one document
     texts = materialize(source.join(candidates, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
-    hub_pairs = materialize(hub_pairs, "tried")
+    hub_pairs = materialize(hub_pairs, "tried", by_size=True)
     links = materialize(pair_similarities(hub_pairs, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
     tried, roots = hub_pairs, components(links)
     open_ = shared.select("key", "rep")
@@ -221,8 +221,8 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
         chosen = labelled.groupBy("key", "root").agg(F.min_by("rep", F.xxhash64("rep", "key", F.lit(turn))).alias("rep"))
         before = F.lag("rep").over(Window.partitionBy("key").orderBy(F.xxhash64("root", "key", F.lit(turn)), "root"))
         chain = chosen.select("key", "rep", before.alias("before")).where("before is not null")
-        chain = materialize(chain.select("key", F.least("rep", "before").alias("a"), F.greatest("rep", "before").alias("b")), "chain")
-        steps = materialize(chain.select("a", "b").distinct().join(tried, ["a", "b"], "left_anti"), "steps")
+        chain = materialize(chain.select("key", F.least("rep", "before").alias("a"), F.greatest("rep", "before").alias("b")), "chain", by_size=True)
+        steps = materialize(chain.select("a", "b").distinct().join(tried, ["a", "b"], "left_anti"), "steps", by_size=True)
         more = materialize(pair_similarities(steps, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
         if not more.limit(1).count():
             break

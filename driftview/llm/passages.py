@@ -239,12 +239,12 @@ def repeated_passages(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
     cut = materialize(units(rows, min_words), "units")
     keyed = cut.select(F.struct("doc_id", "start").alias("unit"), "n_words", "digest", F.explode("keys").alias("key"))
     spread = F.struct(F.min("unit").alias("lo"), F.max("unit").alias("hi"))
-    hubs = materialize(keyed.groupBy("key", "digest").agg(spread.alias("h")).where("h.lo.doc_id < h.hi.doc_id").select("key", "digest", "h.lo", "h.hi"), "hubs")
+    hubs = materialize(keyed.groupBy("key", "digest").agg(spread.alias("h")).where("h.lo.doc_id < h.hi.doc_id").select("key", "digest", "h.lo", "h.hi"), "hubs", by_size=True)
     shared = materialize(keyed.join(hubs.withColumnRenamed("key", "k").withColumnRenamed("digest", "d"), (F.col("key") == F.col("k")) & F.col("digest").eqNullSafe(F.col("d"))).select("key", "unit", "n_words", "digest", "lo", "hi"), "shared")
     spans = shared.where("digest is not null").select("unit", "n_words", F.col("lo").alias("first")).distinct()
     lines = shared.where("digest is null")
     pairs = lines.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("unit").alias("b")), F.struct(F.col("unit").alias("a"), F.col("hi").alias("b")))).alias("p")).select("p.*").where("a < b and a.doc_id <> b.doc_id").distinct()
-    pairs = materialize(pairs, "pairs")
+    pairs = materialize(pairs, "pairs", by_size=True)
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("unit")).distinct()
     texts = materialize(paragraph_texts(rows, wanted, min_words), "paragraphs")
     links = materialize(jaccard(pairs, texts).where(F.col("similarity") >= threshold).select("a", "b"), "links")
@@ -261,7 +261,7 @@ def passage_report(passages: DataFrame) -> DataFrame:
     Documents that hold the same passages are linked to the one that holds the
     first, and a class is a component of these links, named by its smallest id.
     """
-    held = materialize(passages, "passages")
+    held = materialize(passages, "passages", by_size=True)
     links = held.select(F.col("first.doc_id").alias("a"), F.col("doc_id").alias("b")).where("a <> b").distinct()
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("doc_id")).groupBy("doc_id").agg(F.count("*").alias("n_links"))

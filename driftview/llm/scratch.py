@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 CHECKPOINT_DIR = "spark.checkpoint.dir"
+PARALLELISM_FIRST = "spark.sql.adaptive.coalescePartitions.parallelismFirst"
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -29,11 +30,21 @@ def new_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back, so that its lineage ends there."""
+def materialize(df: DataFrame, label: str, by_size: bool = False) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back, so that its lineage ends there.
+
+    ``by_size`` asks for tasks, and so files, by the bytes there are to write
+    rather than by the cores that are free: tables that are mostly small, such as
+    those of a loop, then cost a task each.
+    """
     spark = df.sparkSession
     path = new_path(spark, label)
-    df.write.parquet(path)
+    before = spark.conf.get(PARALLELISM_FIRST)
+    spark.conf.set(PARALLELISM_FIRST, "false" if by_size else before)
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(PARALLELISM_FIRST, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

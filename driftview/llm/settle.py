@@ -109,7 +109,7 @@ def settle(buckets: DataFrame, links: DataFrame, texts: DataFrame, features: Fea
         sizes = held.groupBy("key", "root").agg(F.count("*").alias("n"), F.sum("words").alias("words"))
         whole = sizes.groupBy("key").agg(F.sum("n").alias("n"), F.sum("words").alias("words"), F.count("*").alias("n_roots"), F.max(F.struct("n", "root", "words")).alias("main")).where("n > 3 and n_roots > 1")
         if within:
-            plan = materialize(whole.select("key", blocks(F.col("n"), F.col("words")).alias("n_blocks")), "open")
+            plan = materialize(whole.select("key", blocks(F.col("n"), F.col("words")).alias("n_blocks")), "open", by_size=True)
             several = plan.where("n_blocks > 1").select("key")
             dealt = held.join(plan, "key").withColumn("block", F.pmod(hashed, F.col("n_blocks")).cast("int"))
             dealt = dealt.withColumn("lo", F.col("block")).withColumn("hi", F.col("block"))
@@ -117,7 +117,7 @@ def settle(buckets: DataFrame, links: DataFrame, texts: DataFrame, features: Fea
             if not several.limit(1).count():
                 break
             rest = blocks(F.col("n") - F.col("main.n"), F.col("words") - F.col("main.words"))
-            plan = materialize(whole.select("key", F.col("main.root").alias("main"), rest.alias("n_rest"), blocks(F.col("main.n"), F.col("main.words")).alias("n_main")), "open")
+            plan = materialize(whole.select("key", F.col("main.root").alias("main"), rest.alias("n_rest"), blocks(F.col("main.n"), F.col("main.words")).alias("n_main")), "open", by_size=True)
             dealt = held.join(plan, "key").withColumn("in_main", F.col("root") == F.col("main"))
             dealt = dealt.withColumn("block", F.when(F.col("in_main"), F.col("n_rest") + F.pmod(hashed, F.col("n_main"))).otherwise(F.pmod(hashed, F.col("n_rest"))).cast("int"))
             dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.when(F.col("in_main"), F.col("n_rest")).otherwise(F.col("n_rest") + F.col("n_main")) - 1)))
