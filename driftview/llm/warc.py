@@ -17,7 +17,7 @@ import json
 import re
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from urllib.parse import quote, unquote
 
@@ -194,7 +194,8 @@ class WarcReader(DataSourceReader):
                     f.seek(a)
                     yield f.read(n)
             else:
-                yield from _unindexed(f, span.name.endswith(".gz"))
+                fits = lambda raw: self._fits(_described(headers(raw)))
+                yield from _unindexed_members(f, fits) if span.name.endswith(".gz") else _unindexed_records(f, f.size(), fits)
 
     def read(self, span: Span) -> Iterator[pa.RecordBatch]:
         names = self.schema.names
@@ -214,6 +215,9 @@ class WarcReader(DataSourceReader):
         if rows[names[0]]:
             yield pa.RecordBatch.from_pydict(rows, schema=arrow)
 
+    def _fits(self, row: dict) -> bool:
+        return all(row[k] in v for k, v in self.wanted.items())
+
     def _row(self, member: bytes, decode: bool) -> tuple[dict | None, int]:
         """Headers first; the rest is decoded only if they fit the filters and the payload is needed."""
         gz = member[:2] == b"\x1f\x8b"
@@ -223,18 +227,15 @@ class WarcReader(DataSourceReader):
             head += unpacker.decompress(unpacker.unconsumed_tail, 4096)
         raw, _, rest = head.partition(HEADER_END)
         h = headers(raw)
-        page = _page(h.get("warc-record-id"))
-        digest = h.get("warc-payload-digest", "").removeprefix("sha1:") or None
-        url = unquote(h["warc-target-uri"]) if "warc-target-uri" in h else None
-        row = {"record_id": h.get("warc-record-id"), "page_id": page, "url": url, "record_type": h.get("warc-type"), "refers_to": _page(h.get("warc-refers-to")), "payload_digest": digest, "payload_bytes": None, "payload": None, "verified": None}
-        if any(row[k] not in v for k, v in self.wanted.items()):
+        row = _described(h)
+        if not self._fits(row):
             return None, 0
         if decode and row["record_type"] in ("response", "revisit"):
             block = rest + (unpacker.decompress(unpacker.unconsumed_tail) if gz else b"")
             block = block[: int(h.get("content-length", 0))]
             http, _, payload = block.partition(HEADER_END)
             if row["record_type"] == "response":
-                row |= {"payload": payload.decode("utf-8", "replace"), "payload_bytes": len(payload), "verified": payload_digest(payload) == digest}
+                row |= {"payload": payload.decode("utf-8", "replace"), "payload_bytes": len(payload), "verified": payload_digest(payload) == row["payload_digest"]}
             else:
                 row["payload_bytes"] = int(headers(http).get("content-length", 0))
             return row, len(payload)
@@ -244,29 +245,50 @@ class WarcReader(DataSourceReader):
 _ARROW = {"record_id": pa.string(), "page_id": pa.int64(), "url": pa.string(), "record_type": pa.string(), "refers_to": pa.int64(), "payload_digest": pa.string(), "payload_bytes": pa.int64(), "payload": pa.string(), "verified": pa.bool_()}
 
 
-def _unindexed(f: pa.NativeFile, gz: bool) -> Iterator[bytes]:
-    """Records of a file without an index: members of gzip, or records one after another."""
-    if not gz:
-        data = f.read()
-        at = 0
-        while at < len(data):
-            end = data.find(HEADER_END, at)
-            if end < 0:
+def _described(h: dict[str, str]) -> dict:
+    """A row of what a record's headers say."""
+    url = unquote(h["warc-target-uri"]) if "warc-target-uri" in h else None
+    digest = h.get("warc-payload-digest", "").removeprefix("sha1:") or None
+    return {"record_id": h.get("warc-record-id"), "page_id": _page(h.get("warc-record-id")), "url": url, "record_type": h.get("warc-type"), "refers_to": _page(h.get("warc-refers-to")), "payload_digest": digest, "payload_bytes": None, "payload": None, "verified": None}
+
+
+def _unindexed_records(f: pa.NativeFile, size: int, fits: Callable[[bytes], bool]) -> Iterator[bytes]:
+    """Records one after another: headers are read, and the rest of those that do not fit is stepped over."""
+    at = 0
+    while at < size:
+        f.seek(at)
+        head = b""
+        while HEADER_END not in head:
+            more = f.read(4096)
+            if not more:
                 return
-            stop = end + 4 + int(headers(data[at:end]).get("content-length", 0))
-            yield data[at:stop]
-            at = stop + 4
-        return
+            head += more
+        raw, _, rest = head.partition(HEADER_END)
+        n = int(headers(raw).get("content-length", 0))
+        if fits(raw):
+            yield raw + HEADER_END + rest[:n] + f.read(max(0, n - len(rest)))
+        at += len(raw) + 4 + n + 4
+
+
+def _unindexed_members(f: pa.NativeFile, fits: Callable[[bytes], bool]) -> Iterator[bytes]:
+    """Members of gzip, a record each: of one that does not fit, nothing but the headers is kept."""
     rest = b""
     while True:
-        unpacker, parts = zlib.decompressobj(31), []
+        unpacker, parts, kept = zlib.decompressobj(31), [b""], None
         while not unpacker.eof:
             rest = rest or f.read(1 << 16)
             if not rest:
                 return
-            parts.append(unpacker.decompress(rest))
-            rest = unpacker.unused_data
-        yield b"".join(parts)
+            piece = unpacker.decompress(rest, 1 << 16)
+            rest = unpacker.unused_data if unpacker.eof else unpacker.unconsumed_tail
+            if kept is None:
+                parts[0] += piece
+                raw, end, _ = parts[0].partition(HEADER_END)
+                kept = fits(raw) if end else None
+            elif kept:
+                parts.append(piece)
+        if kept:
+            yield b"".join(parts)
 
 
 class WarcSource(DataSource):
@@ -322,7 +344,12 @@ def read_records(spark: SparkSession, path: str, columns: str = SCHEMA) -> DataF
 
 
 def archive_round_trip(pages: DataFrame) -> DataFrame:
-    """Write pages to archives in the shared folder and read back what the records say."""
+    """Write pages to archives in the shared folder and read back what the records say: a row for each page.
+
+    Null html is an empty payload; ties in equal payloads go to the largest id;
+    rows that repeat an id are a record each; null ids stay null; an empty table
+    gives an empty result; extra columns are ignored (see ``with_revisits``).
+    """
     spark = pages.sparkSession
     path = new_path(spark, "archives")
     write_pages(pages, path)

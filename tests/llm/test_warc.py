@@ -3,9 +3,10 @@ import gzip
 import hashlib
 import os
 
+import pyarrow as pa
 import pytest
 
-from driftview.llm.warc import archive_round_trip, payload_digest, read_records, record, with_revisits, write_pages
+from driftview.llm.warc import _unindexed_members, _unindexed_records, archive_round_trip, payload_digest, read_records, record, with_revisits, write_pages
 
 SCHEMA = "page_id long, url string, html string, digest string, payload string, n long"
 
@@ -67,6 +68,20 @@ def test_foreign_archives_without_manifest(spark, tmp_path):
     assert sorted((r["page_id"], r["payload"], r["verified"]) for r in rows) == [(k, f"body {k}", True) for k in range(5)]
 
 
+@pytest.mark.parametrize("name", ["a.warc", "a.warc.gz"])
+def test_unwanted_records_of_foreign_archives_are_stepped_over(spark, tmp_path, monkeypatch, name):
+    bodies = [os.urandom(300_000 if k % 2 else 10) + b"\r\n\r\nWARC/1.1" for k in range(6)]
+    parts = [record(k, f"http://x/{k}", b, None if k % 2 else 3, payload_digest(b)) for k, b in enumerate(bodies)]
+    os.mkdir(tmp_path / "f")
+    (tmp_path / "f" / name).write_bytes(b"".join(gzip.compress(p) for p in parts) if name.endswith("gz") else b"".join(parts))
+    read = lambda: read_records(spark, str(tmp_path / "f"), "page_id long, record_type string, payload_bytes long, verified boolean")
+    assert sorted((r["page_id"], r["payload_bytes"], r["verified"]) for r in read().where("record_type = 'response'").collect()) == [(k, len(bodies[k]), True) for k in (1, 3, 5)]
+    assert [r["page_id"] for r in read().where("page_id = 2").collect()] == [2] and read().count() == 6
+    with open(tmp_path / "f" / name, "rb") as f, pa.PythonFile(f) as file:
+        seen = list(_unindexed_records(file, file.size(), lambda raw: False)) if name == "a.warc" else list(_unindexed_members(file, lambda raw: False))
+    assert seen == []
+
+
 def test_small_payloads_and_empty_tables(pages):
     assert with_revisits(pages([(1, "u", "ab"), (2, "u", "ab")]), min_bytes=3).where("refers_to is not null").count() == 0
     assert archive_round_trip(pages([])).collect() == []
