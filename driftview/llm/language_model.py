@@ -224,20 +224,19 @@ def first_model(prior: np.ndarray, states: int, seed: int) -> Model:
     return Model(even, even, move, emit / emit.sum(1, keepdims=True))
 
 
-def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sample: int, warm_rounds: int, seed: int) -> Model:
-    """Rounds over all training texts; they begin from a model fitted to ``sample`` of them in one task."""
+def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sample: int, warm_rounds: int, seed: int, max_bytes: int) -> Model:
+    """Rounds over all training texts; they begin from a model fitted to ``sample`` of them, of ``max_bytes`` at most, in one task."""
     prior = class_prior(vocab)
     context = train.sparkSession.sparkContext
     shared = context.broadcast(vocab)
 
-    def sequences(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    def sequences(parts: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         places = Places(shared.value.common)
-        for batch in batches:
-            for part in tk.slices(batch, "text", 2 << 20):
-                yield class_sequences(part.column("text"), shared.value, places)[2:]
+        for part in parts:
+            yield class_sequences(part.column("text"), shared.value, places)[2:]
 
     def warm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        data = list(sequences(batches))
+        data = list(sequences(tk.within(batches, "text", max_bytes, 2 << 20)))
         model, sums = first_model(prior, states, seed), np.zeros(0)
         for _ in range(warm_rounds):
             sums = sum((expected_counts(model, *x)[0] for x in data), np.zeros(2 * states + states * states + states * CLASSES))
@@ -249,7 +248,7 @@ def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sa
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums = np.zeros(2 * states + states * states + states * CLASSES)
-            for x in sequences(batches):
+            for x in sequences(part for batch in batches for part in tk.slices(batch, "text", 2 << 20)):
                 sums += expected_counts(held.value, *x)[0]
             at = np.flatnonzero(sums)
             yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(sums[at])], ["slot", "value"])
@@ -262,15 +261,17 @@ def baum_welch(train: DataFrame, vocab: Vocabulary, states: int, rounds: int, sa
         sums[got["slot"].to_numpy()] = got["value"].to_numpy()
         return maximize(sums, states, prior)
 
-    few = train.join(F.broadcast(train.select("doc_id").where("doc_id is not null").orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(sample)), "doc_id", "left_semi")
-    model = collected(few.select("text").repartition(1).mapInArrow(tk.frugal(warm), "slot int, value double"))
+    draw = F.xxhash64(F.lit(seed), "doc_id")
+    few = train.join(F.broadcast(train.select("doc_id").where("doc_id is not null").orderBy(draw, "doc_id").limit(sample)), "doc_id", "left_semi")
+    few = few.repartition(1).sortWithinPartitions(draw, "doc_id", "text")
+    model = collected(few.select("text").mapInArrow(tk.frugal(warm), "slot int, value double"))
     for _ in range(rounds):
         sums = train.select("text").mapInArrow(tk.frugal(gather(model)), "slot int, value double")
         model = collected(sums.groupBy("slot").agg(F.sum("value").alias("value")))
     return model
 
 
-def language_scores(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", folds: int = 7, held_out: int = 2, states: int = STATES, rounds: int = 2, sample: int = 1500, warm_rounds: int = 12, seed: int = 11) -> DataFrame:
+def language_scores(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", folds: int = 7, held_out: int = 2, states: int = STATES, rounds: int = 2, sample: int = 1500, warm_rounds: int = 12, seed: int = 11, max_bytes: int = 32 << 20) -> DataFrame:
     """Log10 probabilities of whole texts: (doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score).
 
     Words are runs of anything but white space of ASCII, with A-Z in lower case;
@@ -280,7 +281,9 @@ def language_scores(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     share, with one share more for all unseen words.  The base is an add-one
     unigram model.  Both learn from all documents whose fold is not
     ``held_out``; every count is of all of them.  Training sums run over blocks
-    of ``BLOCK`` tokens, scores over whole texts.
+    of ``BLOCK`` tokens, scores over whole texts.  The rounds begin from a model
+    fitted to ``sample`` documents, of ``max_bytes`` at most, chosen by a hash of
+    the id; two ``rounds`` then see every document.
 
     The commonest words' counts go to every task, in a table of fixed size;
     rarer words, none of which is hot, meet their counts in an equi-join.
@@ -295,7 +298,7 @@ def language_scores(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     train = rows.where("not held_out").select("doc_id", "text")
     counts = materialize(count_words(train.select("text")), "counts")
     vocab = vocabulary(counts, train.count())
-    model = baum_welch(train, vocab, states, rounds, sample, warm_rounds, seed)
+    model = baum_welch(train, vocab, states, rounds, sample, warm_rounds, seed, max_bytes)
     shared = spark.sparkContext.broadcast((vocab, model))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

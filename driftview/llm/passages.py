@@ -260,6 +260,8 @@ def passage_report(passages: DataFrame) -> DataFrame:
 
     Documents that hold the same passages are linked to the one that holds the
     first, and a class is a component of these links, named by its smallest id.
+    Documents without a repeated passage, those without text among them, have no
+    row; rows that repeat an id are one document; no passages give no rows.
     """
     held = materialize(passages, "passages", by_size=True)
     links = held.select(F.col("first.doc_id").alias("a"), F.col("doc_id").alias("b")).where("a <> b").distinct()
@@ -275,12 +277,17 @@ def passage_report(passages: DataFrame) -> DataFrame:
 
 
 def drop_passages(docs: DataFrame, passages: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents with the words of their removed passages cut out, from the first word's start to the last one's end."""
+    """The documents with the words of their removed passages cut out, from the first word's start to the last one's end.
+
+    Passages that overlap are cut as one.  Null and empty texts, rows with a null
+    id, and documents without passages stay as they are; rows that repeat an id
+    lose the same places; all columns stay.
+    """
     ship(docs.sparkSession)
     spans_name, owner = fresh(docs, "__spans"), fresh(docs, "__owner")
     spans = passages.where("removed").groupBy("doc_id").agg(F.collect_set(F.struct("start", "n_words")).alias(spans_name)).withColumnRenamed("doc_id", owner)
 
-    @F.udf(returnType="string")
+    @F.udf(returnType="string", useArrow=True)
     def cut(value, removed):  # noqa: ANN001, ANN202
         if not value or not removed:
             return value

@@ -199,6 +199,17 @@ def slices(batch: pa.RecordBatch, text: str, limit: int = 1 << 20) -> Iterator[p
         at = stop
 
 
+def within(batches: Iterator[pa.RecordBatch], text: str, room: int, limit: int = 1 << 20) -> Iterator[pa.RecordBatch]:
+    """Slices of the batches up to the first text that does not fit into ``room`` bytes; batches after it are read, and dropped."""
+    for batch in batches:
+        for part in slices(batch, text, limit):
+            ends = np.diff(utf8(part.column(text))[1]).cumsum()
+            n = int(np.searchsorted(ends, room, "right")) if room >= 0 else 0
+            if n:
+                yield part.slice(0, n)
+            room = room - int(ends[-1]) if n == len(ends) else -1
+
+
 def shingles(tokens: Tokens, width: int) -> tuple[np.ndarray, np.ndarray]:
     """Owner and hash of every run of ``width`` words; a shorter text that has words is one run."""
     h, counts = tokens.hashes, tokens.counts

@@ -108,19 +108,12 @@ def train(texts: DataFrame, prior: float, max_bytes: int, min_documents: int = 3
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sizes, index, value, positive = [np.zeros(1, np.int64)], [], [], []
-        room = max_bytes
-        for batch in batches:
-            for part in tk.slices(batch, "text"):
-                ends = np.diff(tk.utf8(part.column("text"))[1]).cumsum()
-                part = part.slice(0, int(np.searchsorted(ends, room, "right")))
-                room = room - int(ends[-1]) if part.num_rows == len(ends) else 0
-                if not part.num_rows:
-                    break
-                who, what, x, n = features(part.column("text"))
-                sizes.append(np.bincount(who, minlength=n))
-                index.append(what.astype(np.int32))
-                value.append(x.astype(np.float32))
-                positive.append(part.column("positive").to_numpy(zero_copy_only=False))
+        for part in tk.within(batches, "text", max_bytes):
+            who, what, x, n = features(part.column("text"))
+            sizes.append(np.bincount(who, minlength=n))
+            index.append(what.astype(np.int32))
+            value.append(x.astype(np.float32))
+            positive.append(part.column("positive").to_numpy(zero_copy_only=False))
         if not index:
             return
         data = Examples(np.cumsum(np.concatenate(sizes)), np.concatenate(index), np.concatenate(value), np.concatenate(positive))
