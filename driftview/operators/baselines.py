@@ -74,6 +74,13 @@ class NaiveView:
         rows = self.entities.join(ids, "id", "left_semi")
         return rows.select("id", vectors.sign_class(vectors.score(rows, self.model)).cast("int").alias("class"))
 
+    def label_of(self, key: int) -> int | None:
+        if self.policy == "eager":
+            row = self.frame.where(F.col("id") == key).first()
+            return None if row is None else row["class"]
+        row = self.label_of_many(self.entities.where(F.col("id") == key).select("id")).first()
+        return None if row is None else row["class"]
+
     def close(self) -> None:
         for frame in (self.frame, self.entities):
             if self.arch == "memory" and frame is not None:

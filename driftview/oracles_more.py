@@ -248,6 +248,9 @@ def oracle_sql() -> dict[str, str]:
         "view_aggregates": f"{LAST} SELECT l_returnflag, count(DISTINCT l_orderkey) AS orders, arg_max(id, (eps, id)) AS furthest, round(quantile_cont(eps, 5e-1), 6) AS median FROM fin GROUP BY l_returnflag",
         "part_terms_udtf": "WITH t AS (SELECT p_partkey AS id, unnest(list_filter(regexp_split_to_array(lower(coalesce(p_name, '')), '[^\\p{L}\\p{N}]+'), lambda x: x <> '')) AS term FROM part) SELECT id, term, count(*) AS n FROM t GROUP BY id, term",
         "clustered_ranges": f"{LAST} SELECT id, round(eps, 6) AS eps FROM fin WHERE eps >= -1e-1 AND eps < 1e-1",
+        "certain_counts": f"{BANDS}, {MARGINS} SELECT CASE WHEN eps >= hw THEN 1 WHEN eps < lw THEN -1 ELSE 0 END AS certain, count(*) AS n FROM ms JOIN wm ON wm.s = 0 AND wm.i = 40 WHERE ms.s = 0 GROUP BY 1",
+        "data_source_view": f"{LAST} SELECT id, class FROM v WHERE class = 1",
+        "partition_overwrite": f"{LAST} SELECT id, class FROM v WHERE class = -1 OR id % 2 = 0",
         "stream_late_windows": "WITH w AS (SELECT user_id, time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') AS s, count(*) AS n, sum(value) AS total FROM events GROUP BY 1, 2) SELECT user_id, CAST(epoch(s) AS BIGINT) AS start, n, round(total, 4) AS total FROM w WHERE s + INTERVAL 6 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR",
         "stream_running_waste": _waste(),
     }

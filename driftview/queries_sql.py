@@ -13,11 +13,13 @@ from driftview.functions import vectors
 from driftview.learn.bulk import bulk_train
 from driftview.learn.model import Model
 from driftview.operators.asof import asof_join
+from driftview.operators.band import water_marks
 from driftview.operators.store import ClusteredStore
 from driftview.plans import workloads
-from driftview.queries import _exact_view, _trail_frame
+from driftview.queries import _exact_view, _run, _trail_frame, _trailed
 from driftview.registry import query
 from driftview.session import shared_path
+from driftview.sources import view_source
 from driftview.sources.tables import table
 from driftview.streaming.attach import running_waste, user_windows
 
@@ -132,6 +134,36 @@ def clustered_ranges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store.between(-0.1, 0.1).select("id", F.round("eps", 6).alias("eps"))
 
 
+@query
+def certain_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entities whose stored margin settles their class at the last round, by the SQL function."""
+    _, entities, models, largest, _ = _trailed(spark, sf_dir)
+    *_, lw, hw = water_marks(models, 0, largest, 2.0)[-1]
+    vectors.register_sql(spark)
+    name = f"stored_{uuid.uuid4().hex[:8]}"
+    entities.select(vectors.score(entities, models[0]).alias("eps")).createOrReplaceTempView(name)
+    return spark.sql(f"SELECT coalesce(mv_certain(eps, {lw!r}D, {hw!r}D), 0) AS certain, count(*) AS n FROM {name} GROUP BY 1")
+
+
+@query
+def data_source_view(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Positive entities of a view that is known by its path alone."""
+    view = _run(spark, sf_dir, each=20)
+    view_source.register(spark)
+    return spark.read.format("modelview").load(view.path).where("class = 1").select("id", "class")
+
+
+@query
+def partition_overwrite(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A copy of the view by class, of which one partition is written anew."""
+    _, view = _exact_view(spark, sf_dir)
+    path = shared_path(spark, "by_class")
+    view.write.partitionBy("class").parquet(path)
+    even = view.where("class = 1 AND id % 2 = 0")
+    even.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("class").parquet(path)
+    return spark.read.schema("id long, class int").parquet(path)
+
+
 # --- streams
 
 
