@@ -135,5 +135,5 @@ def contamination(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id",
 
 def clean_of(docs: DataFrame, found: DataFrame, doc_id: str = "doc_id") -> DataFrame:
     """The documents without those that ``contamination`` reports; rows with a null id stay."""
-    dropped = found.select(F.col("doc_id").alias(doc_id)).distinct()
+    dropped = materialize(found.select(F.col("doc_id").alias(doc_id)).distinct(), "dropped", by_size=True)
     return docs.join(dropped, doc_id, "left_anti")

@@ -245,10 +245,12 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 def keep_one(docs: DataFrame, classes: DataFrame, doc_id: str = "doc_id") -> DataFrame:
     """The documents without those that another one of their class represents.
 
-    Rows with a null id stay.  Of repeated rows with one id, one stays: the
-    smallest by all columns.
+    Rows with a null id stay.  Texts without words, null ones among them, are one
+    class, of which one stays.  Of repeated rows with one id, one stays: the
+    smallest by all columns.  An empty table gives an empty result.
     """
-    dropped = classes.where("doc_id <> class_id").select(F.col("doc_id").alias(doc_id)).distinct()
+    classes = materialize(classes, "classed", by_size=True)
+    dropped = materialize(classes.where("doc_id <> class_id").select(F.col("doc_id").alias(doc_id)).distinct(), "dropped", by_size=True)
     kept = docs.join(dropped, doc_id, "left_anti")
     if classes.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
         known = kept.where(F.col(doc_id).isNotNull()).groupBy(doc_id).agg(F.min(F.struct(*columns(docs))).alias("row")).select("row.*")

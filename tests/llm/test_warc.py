@@ -69,7 +69,7 @@ def test_foreign_archives_without_manifest(spark, tmp_path):
 
 
 @pytest.mark.parametrize("name", ["a.warc", "a.warc.gz"])
-def test_unwanted_records_of_foreign_archives_are_stepped_over(spark, tmp_path, monkeypatch, name):
+def test_unwanted_records_of_foreign_archives_are_stepped_over(spark, tmp_path, name):
     bodies = [os.urandom(300_000 if k % 2 else 10) + b"\r\n\r\nWARC/1.1" for k in range(6)]
     parts = [record(k, f"http://x/{k}", b, None if k % 2 else 3, payload_digest(b)) for k, b in enumerate(bodies)]
     os.mkdir(tmp_path / "f")
