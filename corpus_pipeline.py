@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftview.llm import decontaminate, lines, mixing, near_dup, toxicity
-from driftview.llm.scratch import columns, fresh, new_path
+from driftview.llm.scratch import columns, fresh, materialize, new_path
 
 
 REJECTED = "__rejected"
@@ -19,7 +19,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier does not reject; rows with a null id stay."""
     scored = toxicity.toxicity(docs, _table(spark, sf_dir, "labels"))
-    rejected = scored.where("predicted = 1 and doc_id is not null").select(F.col("doc_id").alias(REJECTED)).distinct()
+    rejected = materialize(scored.where("predicted = 1 and doc_id is not null").select(F.col("doc_id").alias(REJECTED)).distinct(), "rejected", by_size=True)
     return docs.join(rejected, docs["doc_id"] == F.col(REJECTED), "left_anti")
 
 
@@ -51,7 +51,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     keys = ("doc_id", "source", "size")
     mix = mixing.fair_mix(docs).where("taken > 0").groupBy(*keys).agg(F.max("target").alias("target"), F.max("taken").alias("taken"))
     named = {c: fresh(docs, c) for c in ("size", "target", "taken")}
-    mix = mix.select(F.col("doc_id").alias("__id"), F.col("source").alias("__source"), *[F.col(c).alias(n) for c, n in named.items()])
+    mix = materialize(mix.select(F.col("doc_id").alias("__id"), F.col("source").alias("__source"), *[F.col(c).alias(n) for c, n in named.items()]), "mix")
     met = docs["doc_id"].eqNullSafe(F.col("__id")) & docs["source"].eqNullSafe(F.col("__source")) & (mixing.word_count(docs["text"]) == F.col(named["size"]))
     return docs.join(mix, met).select(*columns(docs), *named.values())
 
