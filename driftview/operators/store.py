@@ -24,6 +24,8 @@ from driftview.learn.model import Model
 ROWS_PER_TASK = 1_000_000
 #: Error of the quantile that cuts the buffer: 1 over this.
 QUANTILE_STEPS = 20_000
+#: Entities of a buffer whose keys one task may merge, 16 bytes each.
+SORTED_BUFFER = 100_000
 
 
 def write_text(spark: SparkSession, path: str, text: str) -> None:
@@ -202,7 +204,8 @@ def band_distance(eps: Column, low: float, high: float) -> Column:
 def choose_buffer(store: ClusteredStore, low: float, high: float, buffered: int) -> DataFrame:
     """The ``buffered`` entities nearest to the band, ties by id: (id, f).
 
-    A quantile of the distance settles all but those about the cut; only these
+    Up to SORTED_BUFFER are found by sorting keys.  Beyond, a quantile of the
+    distance settles all but those about the cut; only these
     are sorted.  Where more rows tie, inside the band, than the buffer holds, the
     quantile is of their ids.  Vectors are fetched for the chosen ids alone.
     """
@@ -216,9 +219,12 @@ def choose_buffer(store: ClusteredStore, low: float, high: float, buffered: int)
         sure = rows.where(F.col(by) < F.lit(a))
         return sure, rows.where((F.col(by) >= F.lit(a)) & (F.col(by) <= F.lit(b))), k - sure.count()
 
-    sure, open_, left = nearest(rows, "distance", buffered)
+    if buffered <= SORTED_BUFFER:
+        sure, open_, left = rows.where(F.lit(False)), rows, buffered
+    else:
+        sure, open_, left = nearest(rows, "distance", buffered)
     within = open_.where("distance = 0")
-    if within.limit(left + 1).count() > left:
+    if buffered > SORTED_BUFFER and within.limit(left + 1).count() > left:
         more, open_, left = nearest(within, "id", left)
         sure = sure.unionByName(more)
     chosen = sure.unionByName(open_.orderBy("distance", "id").limit(max(0, left))).select("id")

@@ -6,6 +6,7 @@ from driftview.functions import features as fx
 from driftview.functions import vectors
 from driftview.learn.model import Model
 from driftview.learn.sgd import SgdTrainer
+from driftview.operators import store
 from driftview.operators.band import HolderPair
 from driftview.operators.measures import diff_with_exact
 from driftview.operators.store import choose_buffer, full_bytes, hybrid_bytes
@@ -141,7 +142,9 @@ def test_equal_margins_are_dealt_to_several_tasks(spark):
     assert view.store.read().select(F.input_file_name()).distinct().count() > 1
 
 
-def test_the_buffer_holds_the_nearest(small):
+@pytest.mark.parametrize("limit", [10, 10**5])
+def test_the_buffer_holds_the_nearest(small, monkeypatch, limit):
+    monkeypatch.setattr(store, "SORTED_BUFFER", limit)
     view, rest = start(small, arch="hybrid", buffer_share=0.1)
     view.update(rest[:4])
     for low, high in ((0.0, 0.0), (-0.3, 0.4), (-50.0, 50.0)):
