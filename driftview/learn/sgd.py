@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterable
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 
@@ -60,9 +61,13 @@ class SgdTrainer:
         return Model(w, model.b + eta * g if g else model.b, model.round + 1)
 
     def run(self, model: Model, batch: Iterable[tuple[Vector, int]]) -> Model:
-        """The model after a batch; sparse examples take time in proportion to their non-zeros, and the weights are copied once."""
-        batch = list(batch)
-        if batch and isinstance(batch[0][0], tuple):
+        """The model after a batch, which is read once and not held; sparse examples take time in proportion to their non-zeros, and the weights are copied once."""
+        batch = iter(batch)
+        first = next(batch, None)
+        if first is None:
+            return model
+        batch = chain([first], batch)
+        if isinstance(first[0], tuple):
             scaled = ScaledSgd(self, model)
             for f, y in batch:
                 scaled.step(*f, y)

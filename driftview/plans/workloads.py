@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import islice
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 from driftview.functions.features import DenseArray, DenseColumns, FeatureFunction, TermFrequency
 from driftview.learn.model import Model
 from driftview.learn.sgd import SgdTrainer
-from driftview.operators.view import gather
+from driftview.operators.view import ClassificationView, ExampleTable, Options, gather
 from driftview.session import materialize
 from driftview.sources.tables import keyed_lineitem, table
 
@@ -51,6 +52,17 @@ class Workload:
         rows = self.source.drop("label").join(F.broadcast(examples.select("id")), "id", "left_semi")
         return gather(self.feature.transform(rows, "id"), examples)
 
+    def learn_all(self, least: int, **options: object) -> ClassificationView:
+        """A view by the whole table of examples, in a stream: the first ``warm`` make the model it starts with, the others come in rounds of a tenth, or of ``least``."""
+        entities = self.kept_entities()
+        table = ExampleTable.of(entities, self.labelled)
+        stream = iter(table)
+        model = self.trainer.run(Model.zero(self.dim), ((f, y) for _, f, y in islice(stream, self.warm)))
+        view = ClassificationView(entities, self.trainer, self.dim, Options(**options), model)
+        view.examples = [table]
+        view.learn(stream, max(least, (len(table) - self.warm) // 10))
+        return view
+
     def trail(self, batch: list | None = None) -> list[Model]:
         """The warm model, and the one after each measured example."""
         batch = self.batch() if batch is None else batch
