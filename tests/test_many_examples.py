@@ -20,11 +20,14 @@ def few(monkeypatch):
     monkeypatch.setattr(view, "MAX_BATCH", 10)
 
 
-def by_definition(spark, data, label):
+def by_definition(spark, data, label, held=view.MAX_BATCH):
     """Classes under the model that takes a step for each labelled document, in order of id."""
     w = workloads.text_quality(spark, data, **workloads.IN_SQL, label=label)
     model = Model.zero(w.dim)
-    for _, f, y in w.batch():
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(view, "MAX_BATCH", held)
+        batch = w.batch()
+    for _, f, y in batch:
         model = w.trainer.step(model, f, y)
     entities = w.kept_entities()
     assert model.round == w.labelled.count()
@@ -38,6 +41,11 @@ def test_quality_examples_table_of_more_examples_than_the_driver_holds(spark, da
     assert entry.queries()["quality_examples_table"](spark, data).collect() == expected
 
 
+def test_quality_labels_view_of_more_examples_than_the_driver_holds(spark, data, few):
+    _, exact = by_definition(spark, data, "quality", 1000)
+    assert diff_with_exact(entry.queries()["quality_labels_view"](spark, data), exact).count() == 0
+
+
 @pytest.mark.parametrize("sparse", [False, True])
 def test_a_view_over_a_table_of_examples(spark, few, sparse):
     rng = np.random.default_rng(4)
