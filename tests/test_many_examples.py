@@ -46,6 +46,11 @@ def test_quality_labels_view_of_more_examples_than_the_driver_holds(spark, data,
     assert diff_with_exact(entry.queries()["quality_labels_view"](spark, data), exact).count() == 0
 
 
+def test_toxic_labels_view_of_more_examples_than_the_driver_holds(spark, data, few):
+    _, exact = by_definition(spark, data, "toxic", 1000)
+    assert diff_with_exact(entry.queries()["toxic_labels_view"](spark, data), exact).count() == 0
+
+
 @pytest.mark.parametrize("sparse", [False, True])
 def test_a_view_over_a_table_of_examples(spark, few, sparse):
     rng = np.random.default_rng(4)
