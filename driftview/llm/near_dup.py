@@ -22,6 +22,11 @@ DF_BITS = 18
 BROADCAST_PAIRS = 1_000_000
 
 
+def sent(ids: DataFrame) -> DataFrame:
+    """A table of one id a row, sent to every task where it is small enough, so that texts are not shuffled to meet it."""
+    return F.broadcast(ids) if ids.count() <= 2 * BROADCAST_PAIRS else ids
+
+
 def document_frequencies(docs: DataFrame, text: str, width: int) -> np.ndarray:
     """Number of documents for each hashed shingle, over all rows, in 2**DF_BITS counters.
 
@@ -208,10 +213,10 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     hubs = banded.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     shared = materialize(banded.join(hubs, "key"), "buckets")
     hub_pairs = shared.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("rep").alias("b")), F.struct(F.col("rep").alias("a"), F.col("hi").alias("b")))).alias("p")).select("p.*").where("a < b").distinct()
-    candidates = shared.select(F.col("rep").alias("id")).distinct()
+    candidates = materialize(shared.select(F.col("rep").alias("id")).distinct(), "compared", by_size=True)
     source = docs.select(F.col(doc_id).cast("long").alias("id"), F.lower(text).alias("text"))
     # a repeated id could bring in another row's text: the smallest is as good as any, as both are of one document
-    texts = materialize(source.join(candidates, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
+    texts = materialize(source.join(sent(candidates), "id", "left_semi").groupBy("id").agg(F.min("text").alias("text")), "candidates")
     hub_pairs = materialize(hub_pairs, "tried", by_size=True)
     links = materialize(pair_similarities(hub_pairs, texts, width, idf).where(F.col("similarity") >= threshold).select("a", "b"), "links")
     tried, roots = hub_pairs, components(links)
@@ -251,7 +256,7 @@ def keep_one(docs: DataFrame, classes: DataFrame, doc_id: str = "doc_id") -> Dat
     """
     classes = materialize(classes, "classed", by_size=True)
     dropped = materialize(classes.where("doc_id <> class_id").select(F.col("doc_id").alias(doc_id)).distinct(), "dropped", by_size=True)
-    kept = docs.join(dropped, doc_id, "left_anti")
+    kept = docs.join(sent(dropped), doc_id, "left_anti")
     if classes.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
         known = kept.where(F.col(doc_id).isNotNull()).groupBy(doc_id).agg(F.min(F.struct(*columns(docs))).alias("row")).select("row.*")
         kept = known.unionByName(kept.where(F.col(doc_id).isNull()))
